@@ -29,7 +29,9 @@ from wordlid.llm.arrowtext import mixed, pieces, shingles, utf8
 
 #: At a similarity of 0.8 a link is in none of 40 bands of 4 bins once in 1e9 times; at 0.85, once in 6e12.
 BANDS, ROWS = 40, 4
-FIRST_CENTRES = 16
+FIRST_CENTRES = 64
+#: Holders up to which an n-gram is rare among the documents of unsettled buckets.
+RARE = 16
 BITMAP = 1 << 25
 
 
@@ -152,6 +154,33 @@ def components(edges: DataFrame) -> DataFrame:
         before = now
 
 
+def _torn(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """The members of buckets that hold more than one component, if they can still have a link there; and pairs to confirm at once.
+
+    N-grams that at most RARE of these documents have are set apart. Two documents that share some of those are a
+    pair, and there are few for each n-gram. Two that share none have at most the smaller of their counts of other n-grams
+    (`shared`) in common, and a document whose whole count falls short of the similarity is settled and goes.
+    """
+    named = members.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
+    several = lambda df: df.join(df.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s"), F.count("*").alias("many")).filter("r <> s").select("key", "many"), "key")
+    torn = cut_lineage(several(named), "torn").drop("many")
+    nodes = torn.select("node", "root").distinct()
+    items = sets.join(nodes.select("node"), "node").select("node", F.explode("items").alias("item"))
+    few = items.groupBy("item").agg(F.count("*").alias("holders")).filter(F.col("holders") <= RARE)
+    rare = cut_lineage(items.join(few, "item").select("item", "node", "holders"), "rare")
+    own = rare.groupBy("node").agg(F.count("*").alias("own"))
+    sizes = sets.select("node", F.size("items").alias("n"))
+    reach = cut_lineage(nodes.join(own, "node", "left").join(sizes, "node").withColumn("shared", F.col("n") - F.coalesce("own", F.lit(0))), "reach")
+    twice = rare.filter("holders > 1")
+    met = twice.select("item", F.col("node").alias("a")).join(twice.select("item", F.col("node").alias("b")), "item").filter("a < b").groupBy("a", "b").agg(F.count("*").alias("k"))
+    side = lambda x: reach.select(F.col("node").alias(x), *[F.col(c).alias(f"{x}_{c}") for c in ("root", "n", "shared")])
+    most = F.least("a_shared", "b_shared") + F.col("k")
+    near = met.join(side("a"), "a").join(side("b"), "b").filter((F.col("a_root") != F.col("b_root")) & (most * 100 >= (F.col("a_n") + F.col("b_n") - most) * percent))
+    left = torn.drop("root").join(reach.filter(F.col("shared") * 100 >= F.col("n") * percent), "node").select("key", "node", "root", "n", "shared")
+    open_ = several(cut_lineage(left, "torn")).withColumn("turn", F.pmod(F.xxhash64("key", "node"), "many"))
+    return cut_lineage(open_, "open"), near.select("a", "b")
+
+
 def near_duplicates(docs: DataFrame, percent: int = 85, size: int = 5, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links), kept."""
     texts = docs.select("doc_id", "text")
@@ -173,19 +202,24 @@ def near_duplicates(docs: DataFrame, percent: int = 85, size: int = 5, bands: in
     low, high = 0, FIRST_CENTRES
     while True:
         if open_ is None:
-            named = members.join(roots, "node", "left").select("key", "node", "many", F.coalesce("root", "node").alias("root"))
-            torn = named.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s")).filter("r <> s").select("key")
-            open_ = cut_lineage(named.join(torn, "key").withColumn("turn", F.pmod(F.xxhash64("key", "node"), "many")), "open")
+            open_, near = _torn(members, roots, sets, percent)
+            more = cut_lineage(confirm(near, sets, percent), "links")
+            if not more.isEmpty():
+                links = cut_lineage(links.union(more), "links")
+                roots, open_ = components(links), None
+                continue
             most = open_.agg(F.max("many")).first()[0] or 0
         if low >= most:
             break
-        centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select("key", F.col("node").alias("c"), F.col("root").alias("c_root"))
-        pairs = open_.join(centres, "key").filter("c_root <> root").select(F.least("c", "node").alias("a"), F.greatest("c", "node").alias("b")).distinct()
+        centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select("key", *[F.col(x).alias(f"c_{x}") for x in ("node", "root", "n", "shared")])
+        reach = F.least("shared", "c_shared")
+        can = (F.col("c_root") != F.col("root")) & (reach * 100 >= (F.col("n") + F.col("c_n") - reach) * percent)
+        pairs = open_.join(centres, (open_["key"] == centres["key"]) & can).select(F.least("c_node", "node").alias("a"), F.greatest("c_node", "node").alias("b")).distinct()
         more = cut_lineage(confirm(pairs, sets, percent), "links")
         if not more.isEmpty():
             links = cut_lineage(links.union(more), "links")
             roots, open_ = components(links), None
-        low, high = high, high * 4
+        low, high = high, high * 8
     named = classes.join(roots, "node", "left").filter("copies > 1 or root is not null").select("mark", F.coalesce("root", "node").alias("root"))
     out = base.select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("mark")).alias("mark")).join(named, "mark", "left")
     component = F.coalesce("root", "doc_id")
