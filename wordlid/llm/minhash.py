@@ -30,6 +30,8 @@ from wordlid.llm.arrowtext import mixed, pieces, shingles, utf8
 #: At a similarity of 0.8 a link is in none of 40 bands of 4 bins once in 1e9 times; at 0.85, once in 6e12.
 BANDS, ROWS = 40, 4
 FIRST_CENTRES = 64
+#: Ids of eight bytes that may be sent to every executor.
+MOST_SENT = 1_000_000
 #: Holders up to which an n-gram is rare among the documents of unsettled buckets.
 RARE = 16
 BITMAP = 1 << 25
@@ -126,8 +128,16 @@ def _bitmap_of(nodes: DataFrame) -> bytes:
     return out.tobytes()
 
 
+def _of(sets: DataFrame, nodes: DataFrame) -> DataFrame:
+    """The sets of these nodes; without a shuffle of the others where the nodes, counted first, are few."""
+    few = nodes.count() <= MOST_SENT
+    return sets.join(F.broadcast(nodes) if few else nodes, "node", "left_semi")
+
+
 def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs a, b whose full sets have 100 * intersection >= percent * union."""
+    pairs = cut_lineage(pairs, "pairs")
+    sets = _of(sets, pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct())
     left, right = sets.toDF("a", "x"), sets.toDF("b", "y")
     both = pairs.join(left, "a").join(right, "b").select("a", "b", F.size(F.array_intersect("x", "y")).alias("i"), (F.size("x") + F.size("y")).alias("s"))
     return both.filter(F.col("i") * 100 >= (F.col("s") - F.col("i")) * percent).select("a", "b")
@@ -165,11 +175,12 @@ def _torn(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int) -
     several = lambda df: df.join(df.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s"), F.count("*").alias("many")).filter("r <> s").select("key", "many"), "key")
     torn = cut_lineage(several(named), "torn").drop("many")
     nodes = torn.select("node", "root").distinct()
-    items = sets.join(nodes.select("node"), "node").select("node", F.explode("items").alias("item"))
+    mine = _of(sets, nodes.select("node"))
+    items = mine.select("node", F.explode("items").alias("item"))
     few = items.groupBy("item").agg(F.count("*").alias("holders")).filter(F.col("holders") <= RARE)
     rare = cut_lineage(items.join(few, "item").select("item", "node", "holders"), "rare")
     own = rare.groupBy("node").agg(F.count("*").alias("own"))
-    sizes = sets.select("node", F.size("items").alias("n"))
+    sizes = mine.select("node", F.size("items").alias("n"))
     reach = cut_lineage(nodes.join(own, "node", "left").join(sizes, "node").withColumn("shared", F.col("n") - F.coalesce("own", F.lit(0))), "reach")
     twice = rare.filter("holders > 1")
     met = twice.select("item", F.col("node").alias("a")).join(twice.select("item", F.col("node").alias("b")), "item").filter("a < b").groupBy("a", "b").agg(F.count("*").alias("k"))
@@ -181,6 +192,14 @@ def _torn(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int) -
     return cut_lineage(open_, "open"), near.select("a", "b")
 
 
+def _crossing(open_: DataFrame, low: int, high: int, percent: int) -> DataFrame:
+    """Pairs of a bucket's centres of these turns with its members of other components, where a link is possible."""
+    centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select("key", *[F.col(x).alias(f"c_{x}") for x in ("node", "root", "n", "shared")])
+    reach = F.least("shared", "c_shared")
+    can = (F.col("c_root") != F.col("root")) & (reach * 100 >= (F.col("n") + F.col("c_n") - reach) * percent)
+    return open_.join(centres, (open_["key"] == centres["key"]) & can).select(F.least("c_node", "node").alias("a"), F.greatest("c_node", "node").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, percent: int = 85, size: int = 5, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links), kept."""
     texts = docs.select("doc_id", "text")
@@ -198,28 +217,22 @@ def near_duplicates(docs: DataFrame, percent: int = 85, size: int = 5, bands: in
     sets = cut_lineage(sets, "sets")
     tried = members.filter("node <> centre").select(F.col("centre").alias("a"), F.col("node").alias("b")).distinct()
     links = cut_lineage(confirm(tried, sets, percent), "links")
-    roots, open_ = components(links), None
-    low, high = 0, FIRST_CENTRES
-    while True:
-        if open_ is None:
-            open_, near = _torn(members, roots, sets, percent)
-            more = cut_lineage(confirm(near, sets, percent), "links")
-            if not more.isEmpty():
-                links = cut_lineage(links.union(more), "links")
-                roots, open_ = components(links), None
-                continue
-            most = open_.agg(F.max("many")).first()[0] or 0
-        if low >= most:
-            break
-        centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select("key", *[F.col(x).alias(f"c_{x}") for x in ("node", "root", "n", "shared")])
-        reach = F.least("shared", "c_shared")
-        can = (F.col("c_root") != F.col("root")) & (reach * 100 >= (F.col("n") + F.col("c_n") - reach) * percent)
-        pairs = open_.join(centres, (open_["key"] == centres["key"]) & can).select(F.least("c_node", "node").alias("a"), F.greatest("c_node", "node").alias("b")).distinct()
-        more = cut_lineage(confirm(pairs, sets, percent), "links")
-        if not more.isEmpty():
-            links = cut_lineage(links.union(more), "links")
-            roots, open_ = components(links), None
-        low, high = high, high * 8
+    roots = components(links)
+    open_, near = _torn(members, roots, sets, percent)
+    more = cut_lineage(confirm(near.union(_crossing(open_, 0, FIRST_CENTRES, percent)).distinct(), sets, percent), "links")
+    low = FIRST_CENTRES
+    if not more.isEmpty():  # what these links join needs no further look
+        links = cut_lineage(links.union(more), "links")
+        roots, low = components(links), 0
+        open_, near = _torn(members, roots, sets, percent)
+        more = cut_lineage(confirm(near, sets, percent), "links")
+    most = open_.agg(F.max("many")).first()[0] or 0
+    while low < most:  # until every member has been a centre
+        high = max(FIRST_CENTRES, low * 8)
+        more = cut_lineage(more.union(confirm(_crossing(open_, low, high, percent), sets, percent)), "links")
+        low = high
+    if not more.isEmpty():
+        roots = components(links.union(more))
     named = classes.join(roots, "node", "left").filter("copies > 1 or root is not null").select("mark", F.coalesce("root", "node").alias("root"))
     out = base.select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("mark")).alias("mark")).join(named, "mark", "left")
     component = F.coalesce("root", "doc_id")
