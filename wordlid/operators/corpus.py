@@ -82,7 +82,10 @@ def splice(sentences: DataFrame, local: str = "fr", run: int = 2) -> DataFrame:
     ranked = ranked.withColumn("r", F.row_number().over(Window.partitionBy("lang", "b").orderBy("h")))
     one = lambda lang, name: ranked.filter(F.col("lang") == lang).select("b", "r", F.regexp_extract_all("text", F.lit("[^ ]+"), F.lit(0)).alias(name))
     both = one("en", "e").join(one(local, "l"), ["b", "r"])
-    flat = F.flatten(F.array(*[F.transform(c, lambda w, i, c=c: F.struct((F.floor(i / run) * 2 + (c == "l")).alias("g"), i.alias("i"), F.regexp_replace(w, "[.,!?]+$", "").alias("word"), F.lit("en" if c == "e" else "local").alias("origin"))) for c in ("e", "l")]))
+    def placed(side: str, late: int, origin: str):
+        return F.transform(side, lambda w, i: F.struct((F.floor(i / run) * 2 + late).alias("g"), i.alias("i"), F.regexp_replace(w, "[.,!?]+$", "").alias("word"), F.lit(origin).alias("origin")))
+
+    flat = F.concat(placed("e", 0, "en"), placed("l", 1, "local"))
     return both.select(F.concat_ws("-", "b", "r").alias("sid"), F.filter(F.array_sort(flat), lambda x: x["word"] != "").alias("words"))
 
 

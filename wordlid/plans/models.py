@@ -1,2 +1,252 @@
+"""The four taggers, their component estimators and parts, trained and tested on the tagged word set.
+
+Training sees at most MOST_TRAIN labelled words or sentences, those with the smallest MD5; tests are whole. Sizes and schedules
+of the neural models are small here, as every query has to end on one machine; the operators' defaults are the published ones.
+"""
+
+from __future__ import annotations
+
+import numpy as np
+from pyspark.sql import functions as F
+
+from wordlid.functions import text as T
+from wordlid.operators import corpus as C
+from wordlid.operators import estimators as E
+from wordlid.operators import metrics as M
+from wordlid.operators import recurrent as R
+from wordlid.operators import segment as G
+from wordlid.operators import vectors as V
+from wordlid.plans.common import LOCAL, kept, sentences, tagged, tokens, types
+
 Q: dict = {}
 S: dict = {}
+MOST_TRAIN = 20_000
+WIDTH = 2048
+DIMS, SLOTS = (40, 20, 10), (8, 10)
+KINDS = ("svm", "lr", "mlp")
+_made: dict = {}
+
+
+def once(spark, d, name, make):
+    """Fitted objects of this session; they are small."""
+    key = (spark.sparkContext.applicationId, d, name)
+    if key not in _made:
+        _made[key] = make()
+    return _made[key]
+
+
+def query(name: str):
+    def put(f):
+        Q[name] = f
+        return f
+
+    return put
+
+
+def number():
+    return (F.array_position(F.array(*map(F.lit, C.TAGS)), F.col("tag")) - 1).cast("int")
+
+
+def english(spark, d):
+    """Merges learned from English types, which expose English stems inside mixed words."""
+    return once(spark, d, "bpe", lambda: G.train_bpe(G.frequent(types(spark, d).filter("e > 0").filter(F.col("word").rlike("^[a-z]+$"))), 1000))
+
+
+def pieced(spark, d):
+    def make():
+        t = tagged(spark, d)
+        return t.select("word", "tag", G.encode_bpe(t, english(spark, d)).alias("pieces"))
+
+    return kept(spark, d, "pieced", make)
+
+
+def split(df):
+    train = df.filter(T.bucket(F.col("word"), "t") < 70)
+    return train.orderBy(F.md5("word")).limit(MOST_TRAIN), df.filter(T.bucket(F.col("word"), "t") >= 70)
+
+
+def ngram_rows(spark, d, families=("a", "w", "p")):
+    """Hashed counts of affixes (a), word n-grams (w) and piece n-grams (p): no vocabulary is kept anywhere."""
+
+    def make():
+        marked = lambda mark, c: F.transform(c, lambda x: F.pmod(F.xxhash64(F.lit(mark), x), F.lit(WIDTH)).cast("int"))
+        each = {"a": T.affixes(F.col("word")), "w": T.char_ngrams(F.col("word"), (2, 3, 5)), "p": T.piece_ngrams(F.col("pieces"), (1, 2, 3))}
+        idx = F.concat(*[marked(k, each[k]) for k in families])
+        return pieced(spark, d).select("word", number().alias("y"), idx.alias("idx")).select("word", "y", "idx", F.transform("idx", lambda _: F.lit(1.0).cast("float")).alias("val"))
+
+    return kept(spark, d, "ngrams" + "".join(families), make)
+
+
+def skipgram(spark, d, level):
+    def make():
+        if level == "word":
+            seqs = tokens(spark, d).filter(F.col("lang").isin("en", LOCAL)).groupBy("doc_id", "sent_no").agg(F.array_sort(F.collect_list(F.struct("pos", "word"))).alias("a")).select(F.transform("a", lambda x: x["word"]).alias("seq"))
+            return V.train_skipgram(seqs, "seq", DIMS[0], min_count=3)
+        if level == "piece":
+            return V.train_skipgram(pieced(spark, d).select(F.col("pieces").alias("seq")).filter(F.size("seq") > 0), "seq", DIMS[1], epochs=3)
+        return V.train_skipgram(pieced(spark, d).select(F.filter(F.split("word", ""), lambda x: x != "").alias("seq")), "seq", DIMS[2], epochs=3)
+
+    return kept(spark, d, f"skipgram-{level}", make)
+
+
+def composed(spark, d):
+    return kept(spark, d, "composed", lambda: V.compose(pieced(spark, d).select("word", "pieces"), *[skipgram(spark, d, x) for x in ("word", "piece", "char")], DIMS, SLOTS))
+
+
+def composed_rows(spark, d):
+    width = V.composed_width(*DIMS, *SLOTS)
+    rows = composed(spark, d).join(tagged(spark, d).select("word", "tag"), "word")
+    return rows.select("word", number().alias("y"), F.sequence(F.lit(0), F.lit(width - 1)).alias("idx"), F.col("vec").alias("val")), width
+
+
+def vectors_of(spark, d, kind):
+    return (ngram_rows(spark, d), WIDTH) if kind == "ngrams" else composed_rows(spark, d)
+
+
+def estimator(spark, d, kind, features):
+    rows, width = vectors_of(spark, d, features)
+    return once(spark, d, f"{kind}-{features}", lambda: E.fit(kind, split(rows)[0], width, rounds=2))
+
+
+def tag(spark, d, kinds, features, mode="soft"):
+    rows, width = vectors_of(spark, d, features)
+    return E.predict([estimator(spark, d, k, features) for k in kinds], split(rows)[1], width, mode)
+
+
+for _k in KINDS:
+    for _f in ("ngrams", "composed"):
+        query(f"m_single_{_k}_{_f}")(lambda spark, d, k=_k, f=_f: tag(spark, d, (k,), f).select("word", "gold", "pred"))
+query("m_ngram_vote")(lambda spark, d: tag(spark, d, KINDS, "ngrams").select("word", "gold", "pred"))
+query("m_embedding_vote")(lambda spark, d: tag(spark, d, KINDS, "composed").select("word", "gold", "pred"))
+query("m_ngram_hard_vote")(lambda spark, d: tag(spark, d, KINDS, "ngrams", "hard").select("word", "gold", "pred"))
+for _x in ("word", "piece", "char"):
+    query(f"m_skipgram_{_x}")(lambda spark, d, x=_x: skipgram(spark, d, x))
+query("w8_compose")(lambda spark, d: composed(spark, d))
+query("m_bpe")(lambda spark, d: spark.createDataFrame([(i, a, b) for i, (a, b) in enumerate(english(spark, d))], "rank int, left string, right string"))
+query("w6_pieces")(lambda spark, d: pieced(spark, d).select("word", "pieces"))
+
+
+@query("m_unigram")
+def unigram(spark, d):
+    words = G.frequent(types(spark, d).filter(F.col("word").rlike("^[a-z]+$")), 3000)
+    logp = once(spark, d, "unigram", lambda: G.train_unigram(words, 500))
+    return spark.createDataFrame(sorted(logp.items()), "piece string, score double")
+
+
+def hybrid(spark, d):
+    """n-gram counts and composed vectors side by side."""
+    rows, width = composed_rows(spark, d)
+    a = ngram_rows(spark, d)
+    b = rows.select("word", F.transform("idx", lambda i: i + WIDTH).alias("i2"), F.col("val").alias("v2"))
+    return a.join(b, "word").select("word", "y", F.concat("idx", "i2").alias("idx"), F.concat("val", "v2").alias("val")), WIDTH + width
+
+
+@query("m_hybrid_lr")
+def hybrid_lr(spark, d):
+    rows, width = hybrid(spark, d)
+    train, test = split(rows)
+    return E.predict([E.fit("lr", train, width, rounds=2)], test, width).select("word", "gold", "pred")
+
+
+def sequences(spark, d):
+    """Spliced sentences with the tag of each word's type, and the frozen vectors of the words that have one."""
+
+    def make():
+        s = C.splice(sentences(spark, d))
+        words = s.select("sid", F.posexplode("words").alias("pos", "w")).select("sid", "pos", F.col("w.word").alias("word"))
+        tags = C.base_tags(types(spark, d)).select("word", number().alias("y"))
+        return words.join(tags, "word").select("sid", "pos", "word", "y")
+
+    return kept(spark, d, "sequences", make)
+
+
+def packed(spark, d):
+    """sid, xs, ys with ids into a table of vectors; ids of words without a vector are 1."""
+    vec = skipgram(spark, d, "word").join(types(spark, d).select(F.col("word").alias("unit"), "n"), "unit").orderBy(F.desc("n"), "unit").limit(10_000).collect()
+    table = np.zeros((len(vec) + 2, DIMS[0]))
+    for i, r in enumerate(vec):
+        table[i + 2] = r["v"]
+    ids = spark.createDataFrame([(r["unit"], i + 2) for i, r in enumerate(vec)], "word string, x int")
+    one = sequences(spark, d).join(F.broadcast(ids), "word", "left").groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("pos", F.coalesce("x", F.lit(1)).alias("x"), "y"))).alias("a"))
+    return one.select("sid", F.transform("a", lambda v: v["x"]).alias("xs"), F.transform("a", lambda v: v["y"]).alias("ys")), table
+
+
+@query("m_recurrent")
+def recurrent(spark, d):
+    """Per-word tags of the held-out spliced sentences."""
+    rows, table = packed(spark, d)
+    rows = kept(spark, d, "packed", lambda: rows)
+    held = T.bucket(F.col("sid"), "q") >= 70
+    train = rows.filter(~held).orderBy(F.md5("sid")).limit(3000)
+    w = once(spark, d, "recurrent", lambda: R.fit_tagger(train, table, 16, ((2, 128), (2, 64)), 64))
+    return R.tag_sequences(rows.filter(held), w, table)
+
+
+def language_model(spark, d):
+    def make():
+        merges = english(spark, d)[:300]
+        vocab = G.vocabulary(G.frequent(types(spark, d), 5000), merges)
+        s = sentences(spark, d).filter(F.col("lang").isin("en", LOCAL)).filter(T.bucket(F.concat_ws(":", "doc_id", "sent_no"), "s") >= 10)
+        some = s.orderBy(F.md5(F.concat_ws(":", "doc_id", "sent_no"))).limit(1500)
+        rows = some.select(G.piece_ids(some, "text", merges, vocab).alias("xs"))
+        return R.train_lm(rows, len(vocab) + 3, 24, 32, 1, ((2, 64),), 40), merges, vocab
+
+    return once(spark, d, "lm", make)
+
+
+@query("m_lm")
+def lm(spark, d):
+    """Perplexity by language of the held-out tenth under the recurrent language model."""
+    import pandas as pd
+
+    w, merges, vocab = language_model(spark, d)
+    held = sentences(spark, d).filter(F.col("lang").isin("en", LOCAL)).filter(T.bucket(F.concat_ws(":", "doc_id", "sent_no"), "s") < 10)
+    rows = held.select("lang", G.piece_ids(held, "text", merges, vocab).alias("xs"))
+    sent = spark.sparkContext.broadcast(w)
+
+    def losses(batches):
+        for b in batches:
+            for lang, g in b.groupby("lang"):
+                total, n = R.lm_loss(sent.value, [list(x) for x in g["xs"]], 40)
+                yield pd.DataFrame({"lang": [lang], "loss": [total], "n": [n]})
+
+    return rows.mapInPandas(losses, "lang string, loss double, n long").groupBy("lang").agg(F.sum("n").alias("pieces"), F.exp(F.sum("loss") / F.sum("n")).alias("perplexity"))
+
+
+def word_pieces(spark, d):
+    _, merges, vocab = language_model(spark, d)
+    t = tagged(spark, d)
+    return kept(spark, d, "word-pieces", lambda: t.select("word", number().alias("y"), G.piece_ids(t, "word", merges, vocab).alias("xs")).filter(F.size("xs") > 0))
+
+
+def transfer(spark, d, mode):
+    train, test = split(word_pieces(spark, d))
+    w = once(spark, d, f"transfer-{mode}", lambda: R.fit_transfer(train, language_model(spark, d)[0], mode, ((2, 128),)))
+    return R.tag_words(test, w)
+
+
+query("m_lm_transfer")(lambda spark, d: transfer(spark, d, "full"))
+query("m_lm_transfer_frozen")(lambda spark, d: transfer(spark, d, "frozen"))
+query("m_lm_transfer_fresh")(lambda spark, d: transfer(spark, d, "none"))
+
+
+@query("w10_compare")
+def compare(spark, d):
+    """Macro precision, recall and F1 of every tagger on its held-out part."""
+    out = None
+    names = [f"m_single_{k}_{f}" for f in ("composed", "ngrams") for k in KINDS] + ["m_embedding_vote", "m_ngram_vote", "m_recurrent", "m_lm_transfer"]
+    for name in names:
+        one = M.macro(M.per_tag(M.confusion(Q[name](spark, d)))).withColumn("model", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query("w11_four_taggers")
+def four(spark, d):
+    """Per-tag scores of the four taggers."""
+    out = None
+    for name in ("m_embedding_vote", "m_ngram_vote", "m_recurrent", "m_lm_transfer"):
+        one = M.per_tag(M.confusion(Q[name](spark, d))).withColumn("model", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
