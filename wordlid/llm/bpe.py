@@ -57,7 +57,7 @@ class ChunkEncoder:
 
     def _clear(self) -> None:
         self.known.clear()
-        self.ids, self.ends = [np.zeros(0, np.int32)], [0]
+        self.ids, self.ends = np.zeros(0, np.int32), np.zeros(1, np.int64)
 
     def encode(self, texts: list[str]) -> list[list[int]]:
         return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -121,10 +121,9 @@ class ChunkEncoder:
             got = self.encode(new)
             size = len(self.known)
             self.known.update(zip(new, range(size, size + len(new)), strict=True))
-            self.ids.append(np.fromiter(chain.from_iterable(got), np.int32))
-            self.ends.extend((self.ends[-1] + np.cumsum([len(x) for x in got])).tolist())
-            self.ids = [np.concatenate(self.ids)]
-        flat, ends = self.ids[0], np.array(self.ends)
+            self.ids = np.concatenate([self.ids, np.fromiter(chain.from_iterable(got), np.int32)])
+            self.ends = np.concatenate([self.ends, self.ends[-1] + np.cumsum([len(x) for x in got])])
+        flat, ends = self.ids, self.ends
         place = np.array([self.known[c] for c in chunks])[coded.indices.to_numpy(zero_copy_only=False)]
         first, size = ends[place], ends[place + 1] - ends[place]
         upto = np.concatenate([[0], np.cumsum(size)])
