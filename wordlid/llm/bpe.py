@@ -24,7 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from wordlid.llm.arrowtext import _space, mixed, pieces, utf8
+from wordlid.llm.arrowtext import _space, mixed, pieces, tidied, utf8
 
 #: Of 256 word starts, KEEP are cuts; bytes that are worked on at once; chunks that a worker remembers.
 KEEP, PIECE, MOST_KNOWN = 240, 4 << 20, 500_000
@@ -182,19 +182,19 @@ def _digests(encoder, batch, ids, ends):
 
 def token_counts(docs: DataFrame, path: str, keep: int = KEEP) -> DataFrame:
     """doc_id, n_tokens."""
-    return docs.select("doc_id", "text").mapInArrow(_rows(path, keep, _counts), "doc_id long, n_tokens long")
+    return docs.select("doc_id", "text").mapInArrow(tidied(_rows(path, keep, _counts)), "doc_id long, n_tokens long")
 
 
 def encode(docs: DataFrame, path: str, keep: int = KEEP) -> DataFrame:
     """The columns of docs with the text replaced by its token ids."""
     kept = [f for f in docs.schema.fields if f.name != "text"]
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept)
-    return docs.select(*[f.name for f in kept], "text").mapInArrow(_rows(path, keep, _lists), f"{schema}, ids array<int>")
+    return docs.select(*[f.name for f in kept], "text").mapInArrow(tidied(_rows(path, keep, _lists)), f"{schema}, ids array<int>")
 
 
 def encode_digests(docs: DataFrame, path: str, keep: int = KEEP) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256."""
-    return docs.select("doc_id", "text").mapInArrow(_rows(path, keep, _digests), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return docs.select("doc_id", "text").mapInArrow(tidied(_rows(path, keep, _digests)), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def decode(encoded: DataFrame, path: str) -> DataFrame:
@@ -206,4 +206,4 @@ def decode(encoded: DataFrame, path: str) -> DataFrame:
             ids = [x or [] for x in batch.column("ids").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(tokenizer.decode_batch(ids, skip_special_tokens=False), pa.string())], names=["doc_id", "text"])
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
+    return encoded.select("doc_id", "ids").mapInArrow(tidied(run), "doc_id long, text string")

@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from wordlid.llm.arrowtext import tidied
+
 PRIMES = (2147483647, 2147483629)
 BASES = (1000003, 69069)
 #: Rungs for each doubling of the length.
@@ -207,4 +209,4 @@ def with_next(docs: DataFrame, rows_per_part: int = 1000) -> DataFrame:
 def fingerprints(docs: DataFrame, rows_per_part: int = 1000) -> DataFrame:
     """For each document its fingerprint, its edited text's, and how near they and the next one's are."""
     schema = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
-    return with_next(docs, rows_per_part).mapInArrow(_fingerprints, schema)
+    return with_next(docs, rows_per_part).mapInArrow(tidied(_fingerprints), schema)

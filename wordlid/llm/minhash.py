@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wordlid.io import cut_lineage
-from wordlid.llm.arrowtext import mixed, pieces, shingles, utf8
+from wordlid.llm.arrowtext import mixed, pieces, shingles, tidied, utf8
 
 #: At a similarity of 0.8 a link is in none of 40 bands of 4 bins once in 1e9 times; at 0.85, once in 6e12.
 BANDS, ROWS = 40, 4
@@ -119,7 +119,7 @@ def _bitmap_of(nodes: DataFrame) -> bytes:
             hit = np.unique(_bits(batch.column("node").to_numpy(zero_copy_only=False)))
             yield pa.RecordBatch.from_arrays([pa.array(hit + 1)], names=["bit"])
 
-    bits = nodes.mapInArrow(run, "bit long")
+    bits = nodes.mapInArrow(tidied(run), "bit long")
     parts = bits.groupBy(F.bitmap_bucket_number("bit").alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("bit")).alias("m")).collect()
     out = np.zeros(BITMAP // 8 + 4096, np.uint8)
     for r in parts:  # buckets count from 1 and hold 32768 values each
@@ -203,7 +203,7 @@ def _crossing(open_: DataFrame, low: int, high: int, percent: int) -> DataFrame:
 def near_duplicates(docs: DataFrame, percent: int = 85, size: int = 5, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links), kept."""
     texts = docs.select("doc_id", "text")
-    base = cut_lineage(texts.mapInArrow(_sketches(size, bands, rows), "doc_id long, n long, mark binary, keys array<long>"), "sketches")
+    base = cut_lineage(texts.mapInArrow(tidied(_sketches(size, bands, rows)), "doc_id long, n long, mark binary, keys array<long>"), "sketches")
     marked = base.filter("mark is not null and doc_id is not null")
     classes = cut_lineage(marked.groupBy("mark").agg(F.min("doc_id").alias("node"), F.count("*").alias("copies")), "classes")
     heads = marked.join(classes.select("mark", "node"), "mark").filter("doc_id = node").select("node", F.explode("keys").alias("key"))
@@ -211,7 +211,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85, size: int = 5, bands: in
     members = cut_lineage(heads.join(buckets, "key"), "members")
     held = members.select("node").distinct()
     bitmap = docs.sparkSession.sparkContext.broadcast(_bitmap_of(held))
-    sets = texts.filter("doc_id is not null").mapInArrow(_sets(size, bitmap), "node long, items array<long>")
+    sets = texts.filter("doc_id is not null").mapInArrow(tidied(_sets(size, bitmap)), "node long, items array<long>")
     if not base.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1").isEmpty():
         sets = sets.dropDuplicates(["node"])
     sets = cut_lineage(sets, "sets")
