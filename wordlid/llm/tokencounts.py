@@ -13,6 +13,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from wordlid.io import cut_lineage
 from wordlid.llm.bpe import token_counts
 
 BLOCK = 256
@@ -22,6 +23,7 @@ def histogram(lengths: DataFrame, column: str = "n_tokens") -> DataFrame:
     """For each length that occurs: documents and tokens of that length, of that length and more, and the
     tokens of the whole table with every document cut to that length."""
     counts = lengths.groupBy(F.col(column).alias("n_tokens")).agg(F.count("*").alias("docs")).withColumn("block", F.expr(f"n_tokens div {BLOCK}"))
+    counts = cut_lineage(counts, "lengths")  # read several times below; texts are encoded once
     later = Window.orderBy(F.desc("block")).rowsBetween(Window.unboundedPreceding, -1)
     totals = counts.groupBy("block").agg(F.sum("docs").alias("d"), F.sum(F.col("docs") * F.col("n_tokens")).alias("t"))
     above = totals.select(F.col("block").alias("_block"), F.coalesce(F.sum("d").over(later), F.lit(0)).alias("d_above"), F.coalesce(F.sum("t").over(later), F.lit(0)).alias("t_above"), F.lit(1).alias("one"))
