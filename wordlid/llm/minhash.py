@@ -188,15 +188,17 @@ def _torn(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int) -
     most = F.least("a_shared", "b_shared") + F.col("k")
     near = met.join(side("a"), "a").join(side("b"), "b").filter((F.col("a_root") != F.col("b_root")) & (most * 100 >= (F.col("a_n") + F.col("b_n") - most) * percent))
     left = torn.drop("root").join(reach.filter(F.col("shared") * 100 >= F.col("n") * percent), "node").select("key", "node", "root", "n", "shared")
-    open_ = several(cut_lineage(left, "torn")).withColumn("turn", F.pmod(F.xxhash64("key", "node"), "many"))
-    return cut_lineage(open_, "open"), near.select("a", "b")
+    open_ = cut_lineage(several(cut_lineage(left, "torn")).withColumn("turn", F.pmod(F.xxhash64("key", "node"), "many")), "open")
+    keys = open_.groupBy("node").agg(F.collect_list("key").alias("keys"))  # at most one for each band
+    return cut_lineage(open_.join(keys, "node"), "open"), near.select("a", "b")
 
 
 def _crossing(open_: DataFrame, low: int, high: int, percent: int) -> DataFrame:
     """Pairs of a bucket's centres of these turns with its members of other components, where a link is possible."""
-    centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select("key", *[F.col(x).alias(f"c_{x}") for x in ("node", "root", "n", "shared")])
+    centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select("key", *[F.col(x).alias(f"c_{x}") for x in ("node", "root", "n", "shared", "keys")])
     reach = F.least("shared", "c_shared")
     can = (F.col("c_root") != F.col("root")) & (reach * 100 >= (F.col("n") + F.col("c_n") - reach) * percent)
+    can = can & (open_["key"] == F.array_min(F.array_intersect("keys", "c_keys")))  # once, in the first bucket that both are in
     return open_.join(centres, (open_["key"] == centres["key"]) & can).select(F.least("c_node", "node").alias("a"), F.greatest("c_node", "node").alias("b")).distinct()
 
 
