@@ -4,16 +4,35 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import os
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 _written: list[tuple[object, str]] = []
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Send this package to the Python workers, once for each application, unless their path has it anyway."""
+    root = Path(__file__).resolve().parent.parent
+    app = spark.sparkContext.applicationId
+    if app in _shipped or str(root) in os.environ.get("PYTHONPATH", "").split(os.pathsep):
+        return
+    _shipped.add(app)
+    folder = os.path.realpath(tempfile.mkdtemp(prefix="wordlid-code-"))
+    with zipfile.ZipFile(f"{folder}/wordlid_code.zip", "w") as z:
+        for f in sorted(root.joinpath("wordlid").rglob("*.py")):
+            z.write(f, f.relative_to(root))
+    spark.sparkContext.addPyFile(f"{folder}/wordlid_code.zip")
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One input table; the path is only ever opened by Spark's own reader."""
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -33,6 +52,7 @@ def cut_lineage(df: DataFrame, name: str = "t") -> DataFrame:
     nothing upstream runs twice. The files go when the driver ends.
     """
     spark = df.sparkSession
+    ship(spark)
     path = f"{shared_root(spark)}/tables/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     if not _written:
