@@ -10,13 +10,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from wordlid.io import cut_lineage, read_table
+from wordlid.io import cut_lineage, read_table, ship
 from wordlid.llm import bpe, exactdedup, langid, minhash, mixing
 from wordlid.llm.queries import tokenizer_path
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a letter, or unlike every language learned from the labelled ones, go."""
+    ship(spark)
     return langid.keep_identified(docs, langid.train(docs))
 
 
@@ -37,6 +38,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def encode_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, lang, source, n_chars and the token ids of the whole text."""
+    ship(spark)
     return bpe.encode(docs, tokenizer_path())
 
 

@@ -5,8 +5,8 @@ equal passages fall into equal chunks whatever stands before them. Within a batc
 of a worker each distinct chunk is encoded once; documents are then put together from the chunks'
 token ids by array gathers.
 
-A cut is right only if nothing is merged across it. So each distinct neighbourhood of a join (the two bytes
-before and after it) is encoded whole and in its two halves: where the ids do not agree, the chunks on both sides become one
+A cut is right only if nothing is merged across it. So each distinct neighbourhood of a join (the character before the
+white space, that space, and the character after it) is encoded whole and in its two halves: where the ids do not agree, the chunks on both sides become one
 and are encoded anew, and again, until all joins that are left agree.
 
 Nulls: a null text is empty; an empty text has no ids and decodes to the empty text. Rows with a null
@@ -28,7 +28,25 @@ from wordlid.llm.arrowtext import _space, mixed, pieces, tidied, utf8
 
 #: Of 256 word starts, KEEP are cuts; bytes that are worked on at once; chunks that a worker remembers.
 KEEP, PIECE, MOST_KNOWN = 240, 4 << 20, 500_000
-WINDOW, ROLL = 2, 6
+ROLL = 6
+
+
+def neighbours(part: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """For each place after a white-space byte: the code point before that byte, the byte, and the code point at the place, in one number."""
+    byte = lambda i: part[np.clip(i, 0, len(part) - 1)].astype(np.uint64)
+
+    def point(first: np.ndarray) -> np.ndarray:
+        lead, out = byte(first), byte(first)
+        more = (lead >= 0xC0).astype(int) + (lead >= 0xE0) + (lead >= 0xF0)
+        out = np.where(more == 0, out, out & (np.uint64(0x3F) >> more.astype(np.uint64)))
+        for k in range(1, 4):
+            out = np.where(more >= k, out << np.uint64(6) | byte(first + k) & np.uint64(0x3F), out)
+        return out
+
+    start = at - 2
+    for _ in range(3):
+        start = start - ((byte(start) & np.uint64(0xC0)) == 0x80)
+    return point(np.maximum(start, 0)) << np.uint64(29) | byte(at - 1) << np.uint64(21) | point(at)
 
 
 class ChunkEncoder:
@@ -69,19 +87,14 @@ class ChunkEncoder:
         start[1:] &= ~black[:-1]
         start[heads] = False
         at = np.flatnonzero(start)
-        before = np.zeros(len(at), np.uint64)
-        after = np.zeros(len(at), np.uint64)
-        for k in range(WINDOW):
-            before = (before << np.uint64(8)) | part[np.maximum(at - WINDOW + k, 0)]
-            after = (after << np.uint64(8)) | part[np.minimum(at + k, len(part) - 1)]
         if self.keep < 256:
             roll = np.zeros(len(at), np.uint64)
             for k in range(ROLL):
                 roll = (roll << np.uint64(8)) | part[np.maximum(at - ROLL + k, 0)]
             some = mixed(roll) % np.uint64(256) < np.uint64(self.keep)
-            at, before, after = at[some], before[some], after[some]
+            at = at[some]
         if len(at):
-            coded = pa.array((before << np.uint64(8 * WINDOW)) | after).dictionary_encode()
+            coded = pa.array(neighbours(part, at)).dictionary_encode()
             joins = coded.dictionary.to_pylist()
             new = [j for j in joins if j not in self.joins]
             if len(self.joins) + len(new) > MOST_KNOWN:
@@ -95,8 +108,7 @@ class ChunkEncoder:
 
     def _try_joins(self, new: list[int]) -> None:
         """Whether both sides of a join, encoded together, give what they give apart."""
-        raw = [j.to_bytes(2 * WINDOW, "big") for j in new]
-        left, right = ([r[a:b].decode("utf-8", "ignore") for r in raw] for a, b in ((0, WINDOW), (WINDOW, 2 * WINDOW)))
+        left, right = [chr(j >> 29) + chr(j >> 21 & 255) for j in new], [chr(j & 0x1FFFFF) for j in new]
         whole = self.encode([a + b for a, b in zip(left, right, strict=True)])
         for j, w, a, b in zip(new, whole, self.encode(left), self.encode(right), strict=True):
             self.joins[j] = w == a + b
