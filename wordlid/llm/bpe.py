@@ -78,7 +78,8 @@ class ChunkEncoder:
         self.ids, self.ends = np.zeros(0, np.int32), np.zeros(1, np.int64)
 
     def encode(self, texts: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        # a few thousand at a time: what the library returns for a text is a hundred times its ids
+        return [e.ids for i in range(0, len(texts), 4096) for e in self.tokenizer.encode_batch_fast(texts[i : i + 4096], add_special_tokens=False)]
 
     def cuts(self, part: np.ndarray, heads: np.ndarray) -> np.ndarray:
         """Chunk starts in part: all text starts in heads, and the word starts that the rolling hash picks and whose joins agree."""
