@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from wordlid.llm.arrowtext import _space, mixed, pieces, tidied, utf8
 
 #: Of 256 word starts, KEEP are cuts; bytes that are worked on at once; chunks that a worker remembers.
-KEEP, PIECE, MOST_KNOWN = 240, 4 << 20, 500_000
+KEEP, PIECE, MOST_KNOWN = 240, 1 << 20, 400_000
 ROLL = 6
 
 
