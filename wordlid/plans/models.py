@@ -113,14 +113,23 @@ def tag(spark, d, kinds, features, mode="soft"):
     return E.predict([estimator(spark, d, k, features) for k in kinds], split(rows)[1], width, mode)
 
 
+def family_alone(spark, d, mark, name):
+    """The regression on one family of features, to set against all of them together."""
+    train, test = split(ngram_rows(spark, d, (mark,)))
+    return E.predict([once(spark, d, f"lr-{name}", lambda: E.fit("lr", train, WIDTH, rounds=2))], test, WIDTH).select("word", "gold", "pred")
+
+
 for _k in KINDS:
     for _f in ("ngrams", "composed"):
         query(f"m_single_{_k}_{_f}")(lambda spark, d, k=_k, f=_f: tag(spark, d, (k,), f).select("word", "gold", "pred"))
 query("m_ngram_vote")(lambda spark, d: tag(spark, d, KINDS, "ngrams").select("word", "gold", "pred"))
 query("m_embedding_vote")(lambda spark, d: tag(spark, d, KINDS, "composed").select("word", "gold", "pred"))
+for _p, _n in (("a", "affixes"), ("w", "word_ngrams"), ("p", "piece_ngrams")):
+    query(f"m_single_lr_{_n}")(lambda spark, d, p=_p, n=_n: family_alone(spark, d, p, n))
 query("m_ngram_hard_vote")(lambda spark, d: tag(spark, d, KINDS, "ngrams", "hard").select("word", "gold", "pred"))
 for _x in ("word", "piece", "char"):
     query(f"m_skipgram_{_x}")(lambda spark, d, x=_x: skipgram(spark, d, x))
+query("m_similar")(lambda spark, d: V.similar(composed(spark, d), composed(spark, d).agg(F.min_by("word", F.md5("word"))).first()[0]))
 query("w8_compose")(lambda spark, d: composed(spark, d))
 query("m_bpe")(lambda spark, d: spark.createDataFrame([(i, a, b) for i, (a, b) in enumerate(english(spark, d))], "rank int, left string, right string"))
 query("w6_pieces")(lambda spark, d: pieced(spark, d).select("word", "pieces"))
@@ -213,6 +222,14 @@ def lm(spark, d):
     return rows.mapInPandas(losses, "lang string, loss double, n long").groupBy("lang").agg(F.sum("n").alias("pieces"), F.exp(F.sum("loss") / F.sum("n")).alias("perplexity"))
 
 
+@query("m_next_words")
+def next_words(spark, d):
+    """The five likeliest pieces at the start of a sentence, under the recurrent language model."""
+    w, _, vocab = language_model(spark, d)
+    names = {i: piece for piece, i in vocab.items()}
+    return spark.createDataFrame([(at, names.get(i, ""), p) for at, (i, p) in enumerate(R.next_pieces(w, []))], "rank int, piece string, probability double")
+
+
 def word_pieces(spark, d):
     _, merges, vocab = language_model(spark, d)
     t = tagged(spark, d)

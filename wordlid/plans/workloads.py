@@ -234,6 +234,8 @@ query("v_per_tag", PRED["b3"] + f", {_PER} SELECT tag, support, precision, recal
 query("v_macro", PRED["b3"] + f", {_PER} SELECT round(avg(precision), 5) AS macro_precision, round(avg(recall), 5) AS macro_recall, round(avg(f1), 5) AS macro_f1 FROM sc")(lambda spark, d: M.macro(scores(spark, d, "b3")))
 query("v_averages", PRED["b3"] + f", {_PER} SELECT round(sum(precision * support) / sum(support), 5) AS weighted_precision, round(sum(recall * support) / sum(support), 5) AS weighted_recall, round(sum(f1 * support) / sum(support), 5) AS weighted_f1, (SELECT round(count(*) FILTER (gold = pred) / count(*)::DOUBLE, 5) FROM out) AS accuracy FROM sc")(lambda spark, d: M.averages(M.confusion(predicted(spark, d, "b3"))))
 
+query("v_kappa", PRED["b3"] + f", {_TAGROWS}, k AS (SELECT (SELECT count(*) FROM out)::DOUBLE AS t, (SELECT count(*) FROM out WHERE gold = pred) AS same, (SELECT sum((SELECT count(*) FROM out WHERE gold = tag) * (SELECT count(*) FROM out WHERE pred = tag)) FROM tags) AS c) SELECT round((same / t - c / (t * t)) / (1 - c / (t * t)), 5) AS kappa FROM k")(lambda spark, d: M.kappa(M.confusion(predicted(spark, d, "b3"))))
+
 
 def by_model(spark, d, names=("b3", "b4", "b6")):
     out = None
