@@ -17,16 +17,18 @@ _shipped: set[str] = set()
 
 
 #: Rows that go to a Python worker at a time. Rows of this package are whole texts, and a batch is held several times
-#: over by JVM and worker; the default of ten thousand is meant for narrow rows.
-BATCH_ROWS = 1000
+#: over by JVM and worker; the default of ten thousand is meant for narrow rows. A batch ends at so many bytes, too.
+BATCH_ROWS, BATCH_BYTES = 1000, 2 << 20
 _BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def ship(spark: SparkSession) -> None:
     """Send this package to the Python workers, once for each application, unless their path has it anyway;
-    and bound the batches that they get, a setting of the session, unless it is set lower."""
+    and bound the batches that they get, by settings of the session; the rows only unless they are set lower."""
     if int(spark.conf.get(_BATCH, "10000")) > BATCH_ROWS or int(spark.conf.get(_BATCH, "10000")) <= 0:
         spark.conf.set(_BATCH, str(BATCH_ROWS))
+    spark.conf.set(_BYTES, str(BATCH_BYTES))
     root = Path(__file__).resolve().parent.parent
     app = spark.sparkContext.applicationId
     if app in _shipped or str(root) in os.environ.get("PYTHONPATH", "").split(os.pathsep):
