@@ -180,6 +180,23 @@ def test_bpe_round_trip(docs, rows, none, name):
     assert bpe.encode_digests(none, path).count() == 0
 
 
+def test_chunks_that_are_forgotten(monkeypatch):
+    """With room for a few chunks only, ids stay those of the library, and chunks in use are kept."""
+    from tokenizers import Tokenizer
+
+    path = tokenizer_path()
+    monkeypatch.setattr(bpe, "MOST_KNOWN", 40)
+    encoder = bpe.ChunkEncoder(path)
+    texts = [f"the same words again and number {i} of {i * i} things" for i in range(60)]
+    whole = Tokenizer.from_file(path)
+    for text in texts:
+        data = np.frombuffer(text.encode(), np.uint8)
+        ids, ends = encoder.run(data, np.array([0, len(data)]))
+        assert ids.tolist() == whole.encode(text, add_special_tokens=False).ids and ends[-1] == len(ids)
+        assert len(encoder.known) == len(encoder.uses) == len(encoder.ends) - 1 <= 40
+    assert any(c.startswith("same") for c in encoder.known)
+
+
 def test_apportionment():
     votes = [53, 24, 23, 0, 7.5]
     for seats in range(40):

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from wordlid.llm.arrowtext import _space, mixed, pieces, tidied, utf8
 
 #: Of 256 word starts, KEEP are cuts; bytes that are worked on at once; chunks that a worker remembers.
-KEEP, PIECE, MOST_KNOWN = 240, 1 << 20, 400_000
+KEEP, PIECE, MOST_KNOWN = 240, 1 << 20, 250_000
 ROLL = 6
 
 
@@ -75,7 +75,18 @@ class ChunkEncoder:
 
     def _clear(self) -> None:
         self.known.clear()
-        self.ids, self.ends = np.zeros(0, np.int32), np.zeros(1, np.int64)
+        self.ids, self.ends, self.uses = np.zeros(0, np.int32), np.zeros(1, np.int64), np.zeros(0, np.int32)
+
+    def _forget(self) -> None:
+        """Keep the chunks that several pieces used, the most used ones up to half of what may be remembered; older uses count half."""
+        kept = np.argsort(-self.uses, kind="stable")[: MOST_KNOWN // 2]
+        kept = np.sort(kept[self.uses[kept] > 1])
+        names = list(self.known)  # in the order of their places
+        size = self.ends[kept + 1] - self.ends[kept]
+        upto = np.concatenate([[0], np.cumsum(size)])
+        self.ids = self.ids[np.repeat(self.ends[kept] - upto[:-1], size) + np.arange(upto[-1])]
+        self.known = {names[k]: i for i, k in enumerate(kept.tolist())}
+        self.ends, self.uses = upto, self.uses[kept] // 2
 
     def encode(self, texts: list[str]) -> list[list[int]]:
         # a few thousand at a time: what the library returns for a text is a hundred times its ids
@@ -128,16 +139,19 @@ class ChunkEncoder:
         chunks = coded.dictionary.to_pylist()
         new = [c for c in chunks if c not in self.known]
         if len(self.known) + len(new) > MOST_KNOWN:
-            self._clear()
-            new = chunks
+            self._forget()
+            new = [c for c in chunks if c not in self.known]
         if new:
             got = self.encode(new)
             size = len(self.known)
             self.known.update(zip(new, range(size, size + len(new)), strict=True))
             self.ids = np.concatenate([self.ids, np.fromiter(chain.from_iterable(got), np.int32)])
             self.ends = np.concatenate([self.ends, self.ends[-1] + np.cumsum([len(x) for x in got])])
+            self.uses = np.concatenate([self.uses, np.zeros(len(new), np.int32)])
         flat, ends = self.ids, self.ends
-        place = np.array([self.known[c] for c in chunks])[coded.indices.to_numpy(zero_copy_only=False)]
+        distinct = np.array([self.known[c] for c in chunks])
+        self.uses[distinct] += 1
+        place = distinct[coded.indices.to_numpy(zero_copy_only=False)]
         first, size = ends[place], ends[place + 1] - ends[place]
         upto = np.concatenate([[0], np.cumsum(size)])
         out = flat[np.repeat(first - upto[:-1], size) + np.arange(upto[-1])]
