@@ -18,6 +18,7 @@ import heapq
 import math
 from collections.abc import Sequence
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -86,7 +87,9 @@ def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), share: float = 1.
         n = max(1, -(-r["size"] // block))
         quota = min(quota, int(cap * n))
         plan.append((r["source"], r["size"], goal, n, quota // n, quota % n, (seed * 2654435761 + len(plan) * 40503) % n))
-    sources = spark.createDataFrame(plan, "source string, source_size long, target double, n long, base long, more long, phase long")
+    columns = {"source": pa.string(), "source_size": pa.int64(), "target": pa.float64(), **dict.fromkeys(("n", "base", "more", "phase"), pa.int64())}
+    # an Arrow table goes to the JVM as it is; a list of rows would start Python workers on the executors
+    sources = spark.createDataFrame(pa.table({c: pa.array([r[i] for r in plan], t) for i, (c, t) in enumerate(columns.items())}))
     if len(plan) <= 100_000:  # the size is known here
         sources = F.broadcast(sources)
     part = F.pmod("key", F.lit(ORDER_PARTS))
