@@ -194,10 +194,11 @@ def _torn(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int) -
 
 
 def _crossing(open_: DataFrame, low: int, high: int, percent: int) -> DataFrame:
-    """Pairs of a bucket's centres of these turns with its members of other components, where a link is possible."""
-    centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select(*[F.col(x).alias(f"c_{x}") for x in ("key", "node", "root", "n", "shared", "keys")])
+    """Pairs of a bucket's centres of these turns with its members of other components and later turns, where a link is possible."""
+    centres = open_.filter((F.col("turn") >= low) & (F.col("turn") < high)).select(*[F.col(x).alias(f"c_{x}") for x in ("key", "node", "root", "n", "shared", "keys", "turn")])
     reach = F.least("shared", "c_shared")
     can = (F.col("c_root") != F.col("root")) & (reach * 100 >= (F.col("n") + F.col("c_n") - reach) * percent)
+    can = can & (F.struct("c_turn", "c_node") < F.struct("turn", "node"))  # not once more from the other side
     can = can & (F.col("key") == F.array_min(F.array_intersect("keys", "c_keys")))  # once, in the first bucket that both are in
     return open_.join(centres, (F.col("key") == F.col("c_key")) & can).select(F.least("c_node", "node").alias("a"), F.greatest("c_node", "node").alias("b")).distinct()
 
