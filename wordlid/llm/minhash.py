@@ -189,8 +189,9 @@ def _torn(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int) -
     near = met.join(side("a"), "a").join(side("b"), "b").filter((F.col("a_root") != F.col("b_root")) & (most * 100 >= (F.col("a_n") + F.col("b_n") - most) * percent))
     left = torn.drop("root").join(reach.filter(F.col("shared") * 100 >= F.col("n") * percent), "node").select("key", "node", "root", "n", "shared")
     open_ = cut_lineage(several(cut_lineage(left, "torn")).withColumn("turn", F.pmod(F.xxhash64("key", "node"), "many")), "open")
-    keys = open_.groupBy("node").agg(F.collect_list("key").alias("keys"))  # at most one for each band
-    return cut_lineage(open_.join(keys, "node"), "open"), near.select("a", "b")
+    own = open_.groupBy("node", "root", "n", "shared").agg(F.collect_list(F.struct("key", "turn", "many")).alias("in"))  # at most one for each band
+    each = own.select("node", "root", "n", "shared", F.col("in.key").alias("keys"), F.explode("in").alias("at"))
+    return cut_lineage(each.select("at.key", "at.turn", "at.many", "node", "root", "n", "shared", "keys"), "open"), near.select("a", "b")
 
 
 def _crossing(open_: DataFrame, low: int, high: int, percent: int) -> DataFrame:
