@@ -101,6 +101,13 @@ def test_exact_duplicates(docs, rows, none):
     assert exactdedup.exact_duplicates(none).count() == 0
 
 
+def test_exact_duplicates_without_own_doc_id(spark):
+    """A duplicate under a null or repeated doc_id takes no other text of that doc_id with it."""
+    data = [(1, "copy"), (None, "copy"), (None, "alone"), (None, "alone too"), (5, "twice"), (5, "twice"), (5, "another"), (6, "twice"), (6, "third"), (None, "none"), (None, " none"), (None, " none")]
+    left = exactdedup.drop_exact_duplicates(spark.createDataFrame(data, "doc_id long, text string")).collect()
+    assert sorted((str(r["doc_id"]), r["text"]) for r in left) == [("1", "copy"), ("5", "another"), ("5", "twice"), ("6", "third"), ("None", " none"), ("None", "alone"), ("None", "alone too"), ("None", "none")]
+
+
 def test_identifiers_that_collide(spark):
     chunks = spark.createDataFrame([(1, 5), (1, 5), (2, 6), (2, 7)], "h long, d long")
     assert exactdedup.ambiguous(chunks) == [2]

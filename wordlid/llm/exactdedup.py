@@ -77,13 +77,13 @@ def exact_duplicates(docs: DataFrame) -> DataFrame:
 
 
 def drop_exact_duplicates(docs: DataFrame) -> DataFrame:
-    """The rows of docs that stay, with all their columns."""
-    found = cut_lineage(exact_duplicates(docs).filter("group_size > 1").select(F.col("doc_id").alias("_doc"), F.col("keep_id").alias("_keep"), "kept"), "exact-groups")
-    out = docs.join(found.filter("not kept and not (_doc <=> _keep)").select("_doc"), F.col("doc_id").eqNullSafe(F.col("_doc")), "left_anti")
-    repeated = found.filter("not kept and _doc <=> _keep").select("_doc").distinct()
+    """The rows of docs that stay, with all their columns. Rows are told apart by doc_id and text together, as doc_id may be null or repeated."""
+    found = cut_lineage(exact_duplicates(docs).filter("group_size > 1 and not kept").select(F.col("doc_id").alias("_doc"), F.col("text_sha256").alias("_text"), (~F.col("doc_id").eqNullSafe(F.col("keep_id"))).alias("_other")).distinct(), "exact-groups")
+    hashed = docs.withColumn("_sha", F.sha2(normalised(), 256))
+    same = F.col("doc_id").eqNullSafe(F.col("_doc")) & (F.col("_sha") == F.col("_text"))
+    out = hashed.join(found.filter("_other"), same, "left_anti")
+    repeated = found.filter("not _other")
     if repeated.isEmpty():
-        return out
-    same = F.col("doc_id").eqNullSafe(F.col("_doc"))
-    again = out.join(repeated, same, "left_semi")
-    one = again.withColumn("_norm", F.sha2(normalised(), 256)).dropDuplicates(["doc_id", "_norm"]).drop("_norm")
-    return out.join(repeated, same, "left_anti").unionByName(one)
+        return out.drop("_sha")
+    one = out.join(repeated, same, "left_semi").dropDuplicates(["doc_id", "_sha"])
+    return out.join(repeated, same, "left_anti").unionByName(one).drop("_sha")
