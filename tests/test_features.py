@@ -115,6 +115,20 @@ def test_gradients():
     _numeric(R.transfer_gradient(False), w, (ids, mask, np.array([1, 4])))
 
 
+def test_lm_loss_counts_every_piece():
+    rng = np.random.default_rng(4)
+    w = R.lm_weights(9, 3, 4, 1)
+    seqs = [[int(x) for x in rng.integers(1, 9, n)] for n in (1, 2, 5, 6, 11, 23)]
+    total = 0.0
+    for s in seqs:
+        for i in range(1, len(s)):
+            # a window starts at every fifth piece
+            ids = np.array([s[(i - 1) // 5 * 5 : i]])
+            total -= np.log(R.softmax(R.encode(w, ids, np.ones(ids.shape))[0][:, -1] @ w["o"] + w["ob"])[0, s[i]])
+    loss, n = R.lm_loss(w, seqs, 5)
+    assert n == sum(len(s) - 1 for s in seqs) and np.isclose(loss, total)
+
+
 def test_reverse_direction_is_forward_on_reversed_input():
     rng = np.random.default_rng(2)
     w, x = R.cell(3, 2, rng, "f"), rng.normal(size=(1, 5, 3))
