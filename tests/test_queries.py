@@ -45,3 +45,10 @@ def test_votes_beat_majority(spark):
 
     f1 = lambda name: M.macro(M.per_tag(M.confusion(registry.QUERIES[name](spark, DIR)))).first()["macro_f1"]
     assert f1("m_ngram_vote") > 0.5 > f1("b1")
+
+
+def test_maps_count_the_whole_text(spark, tmp_path):
+    texts = ["", "a b a", " ".join(f"w{i} W{i}" for i in range(900)), None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["doc_id"]: r["kinds"] for r in registry.QUERIES["op_maps"](spark, str(tmp_path)).collect()}
+    assert got == {i: None if t is None else len(set(t.lower().split(" "))) for i, t in enumerate(texts)}

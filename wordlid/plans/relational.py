@@ -185,7 +185,7 @@ query("op_arrays", "SELECT vec_id, round(list_sum(list_transform(embedding, lamb
 
 @query("op_maps", "SELECT doc_id, len(list_distinct(regexp_split_to_array(lower(left(text, 200)), ' '))) AS kinds FROM documents")
 def maps(spark, d):
-    words = F.array_distinct(F.split(F.lower(F.left("text", F.lit(200))), " "))
+    words = F.array_distinct(F.split(F.lower("text"), " "))
     return docs(spark, d).select("doc_id", F.size(F.map_keys(F.map_from_entries(F.transform(words, lambda w: F.struct(w, F.length(w)))))).cast("long").alias("kinds"))
 
 
