@@ -280,6 +280,21 @@ def test_language_id(spark, docs, none):
     assert {r["lang_pred"] for r in langid.classify(known, langid.train(none)).collect()} == {"und"}
 
 
+def test_language_of_few_long_texts(spark):
+    """A language is learned from pieces of its texts: whole texts would be drawn or not, and a budget passed or not, by chance."""
+    rng = random.Random(8)
+    write = lambda letters, n: " ".join("".join(rng.choice(letters) for _ in range(4)) for _ in range(n))
+    data = [(i, write("abcdefgh", 40_000), "aa") for i in range(3)] + [(10 + i, write("efghijkl", 20), "bb") for i in range(300)]
+    data += [(None, write("uvwxyz", 40_000), "cc"), (None, "qrst", "dd")]
+    docs = spark.createDataFrame(data, "doc_id long, text string, lang string").repartition(3)
+    model = langid.train(docs, budget=20_000)
+    assert model.langs == ["aa", "bb", "cc", "dd"]
+    assert (model.logp[0].max(0) > model.floor + 0.5).all()  # each has counts
+    tests = [write(x, 20) for x in ("abcdefgh", "efghijkl", "uvwxyz") for _ in range(20)]
+    names, _, ok = model.predict(tests)
+    assert names == ["aa"] * 20 + ["bb"] * 20 + ["cc"] * 20 and ok.all()
+
+
 def test_kneser_ney_sums_to_one():
     from types import SimpleNamespace
 
