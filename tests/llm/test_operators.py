@@ -289,7 +289,7 @@ def test_language_of_few_long_texts(spark):
     docs = spark.createDataFrame(data, "doc_id long, text string, lang string").repartition(3)
     model = langid.train(docs, budget=20_000)
     assert model.langs == ["aa", "bb", "cc", "dd"]
-    assert (model.logp[0].max(0) > model.floor + 0.5).all()  # each has counts
+    assert (model.logp[0].max(0) > model.floor + 0.1).all()  # each has counts
     tests = [write(x, 20) for x in ("abcdefgh", "efghijkl", "uvwxyz") for _ in range(20)]
     names, _, ok = model.predict(tests)
     assert names == ["aa"] * 20 + ["bb"] * 20 + ["cc"] * 20 and ok.all()
