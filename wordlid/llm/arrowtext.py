@@ -9,6 +9,9 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import DataFrame
+
+from wordlid.io import bound_batches
 
 #: Bytes that are looked at together; one longer text is a piece of its own.
 PIECE = 1 << 20
@@ -44,6 +47,12 @@ def tidied(run: Callable) -> Callable:
     return whole
 
 
+def mapped(df: DataFrame, run: Callable, schema) -> DataFrame:
+    """df through run, in batches of bounded size."""
+    bound_batches(df.sparkSession)
+    return df.mapInArrow(tidied(run), schema)
+
+
 def powers(base: np.uint64, n: int) -> np.ndarray:
     out = np.full(n, base, np.uint64)
     if n:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from wordlid.llm.arrowtext import _space, pieces, tidied, utf8, words
+from wordlid.llm.arrowtext import _space, mapped, pieces, utf8, words
 
 FEATURES = ("log_bytes", "upper", "digit", "mark", "bang", "bar", "comma_stop", "wide", "space", "line", "word_size", "word_spread", "distinct", "again", "short", "top_word", "marked_words")
 BINS, PAIR_BINS = 48, 8
@@ -177,7 +177,7 @@ def train(docs: DataFrame, labels: DataFrame, budget: int = BUDGET, learn: Colum
     draw = F.pmod(F.xxhash64(F.lit(10), F.col("doc_id")), F.lit(1 << 30)) < int(min(1.0, budget / max(many, 1)) * (1 << 30))
     picked = seen.filter(draw).groupBy(F.col("doc_id").alias("_doc")).agg(F.avg("quality").alias("label"))
     texts = docs.select("doc_id", "text").filter(draw)
-    got = texts.join(picked, F.col("doc_id") == F.col("_doc")).select("label", "text").mapInArrow(tidied(_measured), "label double, x array<double>").toArrow()
+    got = mapped(texts.join(picked, F.col("doc_id") == F.col("_doc")).select("label", "text"), _measured, "label double, x array<double>").toArrow()
     x = np.array(got["x"].to_pylist(), float).reshape(got.num_rows, len(FEATURES))
     y = got["label"].to_numpy() if got.num_rows else np.zeros(0)
     order = np.lexsort((*x.T, y))  # the order in which rows arrive shall not matter
@@ -194,4 +194,4 @@ def classify(docs: DataFrame, model: Additive) -> DataFrame:
             for i, j in pieces(offsets):
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i), pa.array(shared.value.score(measure(data, offsets[i : j + 1])))], names=["doc_id", "score"])
 
-    return docs.select("doc_id", "text").mapInArrow(tidied(run), "doc_id long, score double")
+    return mapped(docs.select("doc_id", "text"), run, "doc_id long, score double")
