@@ -1,6 +1,10 @@
 """Worked samples, widths, counts and measures that the method's description gives, and invariants."""
 
+import hashlib
+from collections import Counter
+
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -10,6 +14,7 @@ from wordlid.operators import estimators as E
 from wordlid.operators import metrics as M
 from wordlid.operators import recurrent as R
 from wordlid.operators import segment as G
+from wordlid.operators import training
 from wordlid.operators import vectors as V
 
 
@@ -109,10 +114,16 @@ def test_gradients():
     _numeric(E.cross_entropy(0.0), net, (rng.normal(size=(6, 7)), np.array([0, 1, 2, 3, 4, 5])))
     ids = np.array([[1, 2, 1, 0], [2, 1, 0, 0]])
     mask = (ids > 0).astype(float)
-    _numeric(R.tagger_gradient(rng.normal(size=(3, 4))), R.tagger_weights(4, 3), (ids, mask, np.array([[0, 1, 2, 6], [3, 4, 6, 6]])))
+    table = rng.normal(size=(3, 4))
+    counts = mask * np.array([[1, 0, 1, 0], [1, 1, 0, 0]])  # a word without a tag is read but does not count
+    for both in (True, False):
+        _numeric(R.tagger_gradient(), R.tagger_weights(4, 3, both), (table[ids], mask, counts, np.array([[0, 6, 2, 6], [3, 4, 6, 6]])))
     _numeric(R.lm_gradient(0.3), R.lm_weights(3, 4, 3, 2), (ids, mask))
     w = {k: v for k, v in R.lm_weights(3, 4, 3, 2).items() if k not in ("o", "ob")} | {"c": rng.normal(size=(9, 6)), "cb": np.zeros(6)}
-    _numeric(R.transfer_gradient(False), w, (ids, mask, np.array([1, 4])))
+    _numeric(R.transfer_gradient(), w, (ids, mask, np.array([1, 4])))
+    for opened, want in ((0, set()), (1, {"l1x", "l1h", "l1b"}), (2, {f"l{k}{x}" for k in (0, 1) for x in "xhb"})):
+        grads = R.transfer_gradient(opened)(w, (ids, mask, np.array([1, 4])), rng)[1]
+        assert set(grads) == want | {"c", "cb"}
 
 
 def test_lm_loss_counts_every_piece():
@@ -151,3 +162,241 @@ def test_cleaning_rules(spark):
 def test_empty_table(spark):
     none = spark.createDataFrame([], "doc_id long, source string, lang string, text string, n_chars long")
     assert C.to_tokens(C.to_sentences(none)).count() == 0
+
+
+def test_sparse_rows_are_dense_rows():
+    rng = np.random.default_rng(3)
+    x = rng.integers(0, 3, (7, 9)).astype(np.float32)
+    x[2] = 0  # a row without entries
+    lists = [np.flatnonzero(r) for r in x]
+    batch = pa.RecordBatch.from_arrays([pa.array([i.tolist() for i in lists], pa.list_(pa.int32())), pa.array([r[i].tolist() for r, i in zip(x, lists)], pa.list_(pa.float32()))], names=["idx", "val"])
+    got, w, delta = E.matrix(batch, 9), rng.normal(size=(9, 4)), rng.normal(size=(7, 4))
+    assert isinstance(got, E.Sparse) and np.allclose(got @ w, x @ w) and np.allclose(got[2:5] @ w, x[2:5] @ w)
+    at, g = got.back(delta)
+    full = np.zeros((9, 4))
+    full[at] = g
+    assert np.allclose(full, x.T @ delta)
+    y = rng.integers(0, 6, 7)
+    for gradient, weights in ((E.cross_entropy(0.0), {k: v.astype(float) for k, v in E.network(9, (5,), 1).items()}), (E.hinge(0.0), {"w": rng.normal(size=(9, 15)), "b": np.zeros(15)})):
+        loss, sparse = gradient(weights, (got, y), rng)
+        same, dense = gradient(weights, (x, y), rng)
+        name = "w" if "w" in weights else "w0"
+        full = np.zeros(weights[name].shape)
+        full[sparse[name][0]] = sparse[name][1]
+        assert loss == pytest.approx(same) and np.allclose(full, dense[name], atol=1e-6)
+
+
+def _words(n, seed=5):
+    """Words of six kinds of syllables, and their features."""
+    rng = np.random.default_rng(seed)
+    parts = [["ka", "lo"], ["th", "er"], ["pur", "ra"], ["zi", "no"], ["qu", "ix"], ["99", "#"]]
+    rows = []
+    for i in range(n):
+        y = int(rng.integers(0, 6))
+        word = "".join(rng.choice(parts[y] if rng.random() < 0.8 else parts[int(rng.integers(0, 6))]) for _ in range(4)) + str(i)
+        idx = Counter(hash_of(word[k : k + 2]) for k in range(len(word) - 1))
+        rows.append((word, y, list(idx), [float(v) for v in idx.values()]))
+    return rows
+
+
+def hash_of(s):
+    return int(hashlib.md5(s.encode()).hexdigest()[:4], 16) % 512
+
+
+@pytest.mark.parametrize("kind", ["lr", "svm", "mlp"])
+def test_averaged_training_is_as_good_as_one_fit(spark, kind):
+    rows = spark.createDataFrame(_words(3000), "word string, y int, idx array<int>, val array<float>")
+    train, test = rows.filter(T.bucket(F.col("word")) < 70), rows.filter(T.bucket(F.col("word")) >= 70)
+    right = lambda tagger: E.predict([tagger], test, 512).agg(F.avg((F.col("gold") == F.col("pred")).cast("int"))).first()[0]
+    one, six = (right(E.fit(kind, train, 512, parts=p)) for p in (1, 6))
+    assert one > 0.7 and six > one - 0.04
+
+
+def test_rows_are_dealt_over_partitions(spark):
+    rows = spark.createDataFrame(_words(2500), "word string, y int, idx array<int>, val array<float>").coalesce(1)
+    dealt, parts = training.dealt(rows, 400)
+    sizes = [r["count"] for r in dealt.groupBy(F.spark_partition_id()).count().collect()]
+    assert parts == 7 and len(sizes) == 7 and sum(sizes) == 2500 and max(sizes) < 500
+
+
+def test_weights_are_averaged_in_a_tree(spark):
+    """With a gradient that adds what a partition's rows say, the result is the mean weighted by rows, whatever the number of partitions."""
+
+    def gradient(w, batch, rng):
+        return 0.0, {"x": np.zeros(1)}
+
+    rows = spark.createDataFrame([(f"w{i}", float(i)) for i in range(300)], "word string, v double")
+
+    def load(got, size):
+        return []
+
+    start = {"x": np.array([7.0])}
+    for parts in (1, 3, 20):
+        assert training.fit(rows, load, gradient, dict(start), rounds=1, parts=parts)["x"].tolist() == [7.0]
+    sets = [(n, {"x": np.array([float(v)])}) for n, v in ((1, 3), (2, 6), (5, -1))]
+    batches = [pa.RecordBatch.from_arrays([pa.array([float(n)]), pa.array([0.5 * n]), pa.array([training.packed(w)], pa.binary())], names=["n", "loss", "w"]) for n, w in sets]
+    (got,) = list(training._sum(iter(batches)))
+    assert training.unpacked(got.column("w")[0].as_py())["x"][0] == pytest.approx((3 + 12 - 5) / 8) and got.column("loss")[0].as_py() == pytest.approx((0.5 + 2 + 12.5) / 8)
+
+
+def test_slanted_rate_rises_and_falls():
+    rate = [training.slanted(t, 100) for t in range(100)]
+    assert np.argmax(rate) == 10 and max(rate) == 1.0 and rate[0] == pytest.approx(1 / 32) and all(a < b for a, b in zip(rate[:10], rate[1:11])) and all(a > b for a, b in zip(rate[10:99], rate[11:]))
+
+
+def test_layer_rates_fall_with_depth():
+    rates = R.layer_rates(R.lm_weights(5, 3, 4, 3))
+    assert rates["l2x"] == pytest.approx(1 / 2.6) and rates["l0h"] == pytest.approx(2.6**-3) and rates["e"] == pytest.approx(2.6**-4)
+
+
+def test_vectors_are_composed_where_they_are_read():
+    made = R.Vectors(np.array([[0, 0], [1, 2], [3, 4]]), np.array([[0], [5]]), (2, 2, 1), (2, 3))
+    batch = pa.RecordBatch.from_arrays([pa.array([[0.5, 0.25, 1.0, 2.0], [9.0, 8.0]], pa.list_(pa.float32())), pa.array([[1, 2, 0, 0], [2, 0]], pa.list_(pa.int32())), pa.array([[1, 0, 0, 1, 1, 1], [0, 1, 0]], pa.list_(pa.int32()))], names=["v", "p", "c"])
+    a, b = made.of(batch)
+    assert a.tolist() == [[0.5, 0.25, 1, 2, 3, 4, 5, 0, 0], [1, 2, 0, 0, 0, 0, 5, 5, 5]] and b.tolist() == [[9, 8, 3, 4, 0, 0, 0, 5, 0]]
+
+
+def test_long_sequences_are_cut_into_windows():
+    made = R.Vectors(np.zeros((1, 1)), np.zeros((1, 1)), (1, 1, 1), (1, 1))
+    batch = pa.RecordBatch.from_arrays([pa.array([[float(i) for i in range(7)]], pa.list_(pa.float32())), pa.array([[0] * 7], pa.list_(pa.int32())), pa.array([[0] * 7], pa.list_(pa.int32())), pa.array([[0, -1, 2, 3, -1, 5, 1]], pa.list_(pa.int32()))], names=["v", "p", "c", "ys"])
+    seen = []
+    for x, mask, counts, y in R._tag_loader(made, 3, True)([batch], 2):
+        assert (counts <= mask).all()
+        seen += [(v, t) for v, t, c in zip(x[..., 0].ravel(), y.ravel(), counts.ravel()) if c]
+    assert sorted(seen) == [(0, 0), (2, 2), (3, 3), (5, 5), (6, 1)]
+    assert all((counts == 1 - mask + (y < 6)).all() for (_, mask, counts, y), (_, real, *_rest) in zip(R._tag_loader(made, 3, False)([batch], 2), R._tag_loader(made, 3, True)([batch], 2)) for mask in (real,))
+
+
+def test_negative_sampling(spark):
+    assert sorted(map(tuple, V._pairs(np.array([1, 2, 3, 4, 5]), np.array([0, 3, 5]), 2).tolist())) == sorted([(1, 2), (2, 1), (2, 3), (3, 2), (1, 3), (3, 1), (4, 5), (5, 4)])
+    rng = np.random.default_rng(0)
+    w = {"in": rng.normal(size=(4, 3)), "out": rng.normal(size=(4, 3))}
+    batch, gradient = np.array([[0, 1], [2, 1], [0, 3]]), V.negative_gradient(np.full(4, 0.25), 2)
+    loss, grads = gradient(w, batch, np.random.default_rng(5))
+    for k, (at, g) in grads.items():
+        for r, row in zip(at, g):
+            old = w[k][r, 1]
+            w[k][r, 1] = old + 1e-5
+            up = gradient(w, batch, np.random.default_rng(5))[0]
+            w[k][r, 1] = old - 1e-5
+            down = gradient(w, batch, np.random.default_rng(5))[0]
+            w[k][r, 1] = old
+            assert row[1] == pytest.approx((up - down) / 2e-5, rel=1e-3, abs=1e-7)
+    seqs = spark.createDataFrame([(list(rng.choice(list("abc"), 6)) if i % 2 else list(rng.choice(list("xyz"), 6)),) for i in range(400)], "seq array<string>")
+    got = {r["unit"]: np.array(r["v"]) for r in V.train_skipgram_negative(seqs, "seq", 8, 2, epochs=8).collect()}
+    cosine = lambda a, b: got[a] @ got[b] / np.linalg.norm(got[a]) / np.linalg.norm(got[b])
+    assert cosine("a", "b") > cosine("a", "x") and cosine("y", "z") > cosine("c", "z")
+
+
+def test_merges_in_spark_are_those_of_the_loop(spark):
+    words = [("low", 5), ("lower", 2), ("newest", 6), ("widest", 3), ("aaaa", 4), ("x", 9), ("lowest", 7)]
+    types = spark.createDataFrame(words, "word string, n long")
+    assert G.train_bpe_spark(types, 9) == G.train_bpe(words, 9) == G.learn_merges(types, 9)
+    several = G.train_bpe_spark(types, 9, 3)
+    ranks = {p: i for i, p in enumerate(several)}
+    assert len(several) == 9 and all("".join(G.split_bpe(w, ranks)) == w for w, _ in words)
+    assert G.learn_merges(types, 9, driver_types=2) == G.train_bpe(words, 9)
+
+
+def test_unigram_in_spark_is_that_of_the_loop(spark):
+    words = [("abab", 10), ("ab", 20), ("ba", 3), ("c", 1), ("cabba", 4), ("bab", 2)]
+    types = spark.createDataFrame(words, "word string, n long").repartition(3)
+    one, other = G.train_unigram(words, 6), G.train_unigram_spark(types, 6)
+    assert one.keys() == other.keys() and all(other[k] == pytest.approx(one[k], rel=1e-6) for k in one)
+    got = {r["word"]: r["p"] for r in types.select("word", G.encode_unigram(types, one).alias("p")).collect()}
+    assert all(got[w] == G.split_unigram(w, one) for w, _ in words)
+
+
+def test_tokenizer_round_trip(spark):
+    words = spark.createDataFrame([("low", 5), ("lower", 2), ("newest", 6), ("widest", 3)], "word string, n long")
+    table = G.train_tokenizer(words, 24)
+    assert len(table) <= 24 - 3 and len({p for p, _, _ in table}) == len(table) and sorted(i for _, i, _ in table) == list(range(3, 3 + len(table)))
+    texts = spark.createDataFrame([("lower newest",), ("zebra low",), ("",), ("w",)], "text string")
+    back = texts.select("text", G.decode(G.tokenize(texts, "text", table)).alias("back")).collect()
+    assert all(r["text"] == r["back"] for r in back)
+
+
+def test_smallest_of_each_group(spark):
+    rows = [(f"w{i}", "abc"[i % 3]) for i in range(200)] + [("only", "d")]
+    df = spark.createDataFrame(rows, "word string, tag string")
+    for k in (0, 1, 17, 500):
+        want = {w for t in "abcd" for w in sorted((w for w, x in rows if x == t), key=lambda w: hashlib.md5(w.encode()).hexdigest())[:k]}
+        assert {r["word"] for r in C.smallest(df, F.lit(k), digits=1).collect()} == want
+    over = Counter(r["tag"] for r in C.balance(df, 70, "over").collect())
+    assert over == {"a": 70, "b": 70, "c": 70, "d": 70} and Counter(r["tag"] for r in C.balance(df, 70).collect()) == {"a": 67, "b": 67, "c": 66, "d": 1}
+
+
+def test_planted_words_stand_in_sentences(spark):
+    spliced = spark.createDataFrame([(f"s{i}", [("x" + str(i),), ("y" + str(i),)]) for i in range(20)], "sid string, words array<struct<word:string>>")
+    words = spark.createDataFrame([(f"new{i}",) for i in range(50)], "word string")
+    got = C.insert_words(spliced, words, 0).collect()
+    flat = Counter(w for r in got for w in r["words"])
+    assert flat == Counter([f"new{i}" for i in range(50)] + [f"{c}{i}" for c in "xy" for i in range(20)])
+    assert all([w for w in r["words"] if not w.startswith("new")] == ["x" + r["sid"][1:], "y" + r["sid"][1:]] for r in got)
+    assert any(r["words"][0].startswith("new") for r in got) and any(not r["words"][0].startswith("new") for r in got)
+
+
+def test_mixed_words_have_both_orders(spark):
+    base = spark.createDataFrame([("small", 5, "en"), ("holding", 9, "en"), ("baruthe", 4, "local"), ("hogu", 3, "local"), ("rare", 1, "en")], "word string, n long, tag string")
+    assert {r["word"] for r in C.mixed_words(base, "en", "local").collect()} <= {"smallthe", "holdingthe"}
+    assert {r["word"] for r in C.mixed_words(base, "local", "en").collect()} <= {"baruthe" + "ing", "hoguing"}
+
+
+def test_cleaned_comments(spark):
+    rows = [(1, "en", "Small need take"), (2, "en", "small need take"), (3, "fr", "ok go"), (4, "fr", "ಕನ್ one two"), (5, "fr", "coolagiru\u200d need 😀 baruthe"), (6, "fr", "😀 😀 😀"), (7, "fr", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, lang string, text string")
+    lexicon = spark.createDataFrame([(w,) for w in ("small", "need", "take", "ok", "go")], "word string")
+    kept, funnel = C.clean_comments(docs, lexicon, "[ಀ-೿]")
+    assert [(r["doc_id"], r["text"]) for r in kept.collect()] == [(5, "coolagiru need  baruthe")] and kept.columns == docs.columns
+    assert tuple(funnel.first()) == (6, 5, 4, 2, 1)  # a null is no comment
+    kept, _ = C.clean_comments(docs, lexicon, "[ಀ-೿]", rules=("duplicate",), emoji_mode="drop_only_emoji")
+    assert {r["doc_id"]: r["text"] for r in kept.collect()}.keys() >= {1, 3, 4, 5} and 6 not in {r["doc_id"] for r in kept.collect()}
+
+
+def test_usual_spellings(spark):
+    words = spark.createDataFrame([("goooood",), ("gr8",), ("omg",), ("plain",), ("b4",), ("sooon",)], "w string")
+    got = [r[0] for r in words.select(T.normalise(F.col("w"))).collect()]
+    assert got == ["good", "great", "oh my god", "plain", "before", "soon"]
+    assert [r[0] for r in words.select(T.normalise(F.col("w"), ())).collect()] == ["goooood", "gr8", "omg", "plain", "b4", "sooon"]
+
+
+def test_artifacts_have_kind_and_version(spark, tmp_path):
+    from wordlid import io
+
+    df = spark.createDataFrame([("a", 1)], "word string, n int")
+    io.save_artifact(df, f"{tmp_path}/x", "words", 2)
+    assert io.load_artifact(spark, f"{tmp_path}/x", "words", 2).collect() == df.collect()
+    with pytest.raises(ValueError):
+        io.load_artifact(spark, f"{tmp_path}/x", "words", 1)
+
+
+def test_cost_report(spark):
+    got = M.cost_report(spark, lambda: spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count().collect(), {"dense": 7}).collect()
+    assert [r["tasks"] for r in got if r["kind"] == "parameters"] == [7]
+    assert sum(r["shuffle_bytes"] for r in got if r["kind"] == "stage") > 0
+
+
+def test_written_tables_and_kept_ones(spark, tmp_path):
+    from wordlid import io
+    from wordlid.plans import common
+
+    t = io.cut_lineage(spark.range(5))
+    io.discard(t, t, None)
+    assert t._wordlid_path not in io._written
+    spark.range(3).write.parquet(f"{tmp_path}/a.parquet")
+    count = lambda: common.kept(spark, str(tmp_path), "n", lambda: spark.read.parquet(f"{tmp_path}/a.parquet")).count()
+    assert count() == 3
+    spark.range(8).write.mode("overwrite").parquet(f"{tmp_path}/a.parquet")
+    assert count() == 8  # other files under the same path
+
+    class Context:
+        applicationId, master = "app", "yarn"
+
+        def getCheckpointDir(self):
+            return None
+
+    class Session:
+        sparkContext, conf = Context(), {}
+
+    with pytest.raises(ValueError):  # no machine's own folder on a cluster
+        io.shared_root(Session())

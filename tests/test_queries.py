@@ -47,6 +47,86 @@ def test_votes_beat_majority(spark):
     assert f1("m_ngram_vote") > 0.5 > f1("b1")
 
 
+FOUR = ("m_embedding_vote", "m_ngram_vote", "m_recurrent", "m_lm_transfer")
+
+
+@pytest.fixture(scope="module")
+def predictions(spark, duck):
+    """What the four taggers say of the held-out words, as a table of DuckDB."""
+    import pandas as pd
+
+    every = pd.concat([registry.QUERIES[name](spark, DIR).toPandas()[["word", "gold", "pred"]].assign(model=name) for name in FOUR])
+    duck.register("predictions", every)
+    return every
+
+
+def test_taggers_have_the_same_words_and_six_tags(predictions, duck):
+    words = predictions.groupby("model")["word"].apply(lambda w: tuple(sorted(w)))
+    assert len(set(words)) == 1
+    held = duck.sql(registry.ORACLE["w5_split"].replace("SELECT word, tag, n, part FROM sp", "SELECT word, tag FROM test")).df()
+    assert set(words.iloc[0]) == set(held["word"])
+    support = predictions.groupby(["model", "gold"]).size().unstack()
+    assert support.shape == (4, 6) and (support > 0).all(axis=None) and (support.nunique() == 1).all()
+
+
+SCORES = """WITH t AS (SELECT unnest(['local', 'en', 'mixed', 'name', 'location', 'other']) AS tag), m AS (SELECT DISTINCT model FROM predictions),
+ c AS (SELECT m.model, t.tag, (SELECT count(*) FROM predictions p WHERE p.model = m.model AND gold = t.tag) AS support, (SELECT count(*) FROM predictions p WHERE p.model = m.model AND pred = t.tag) AS said,
+   (SELECT count(*) FROM predictions p WHERE p.model = m.model AND gold = t.tag AND pred = t.tag) AS hit FROM m, t),
+ r AS (SELECT model, tag, support, CASE WHEN said > 0 THEN hit / said::DOUBLE ELSE 0 END AS p, CASE WHEN support > 0 THEN hit / support::DOUBLE ELSE 0 END AS r FROM c),
+ sc AS (SELECT model, tag, support, round(p, 6) AS precision, round(r, 6) AS recall, round(CASE WHEN p + r > 0 THEN 2 * p * r / (p + r) ELSE 0 END, 6) AS f1 FROM r)"""
+
+
+@pytest.mark.parametrize("name, sql", [
+    ("w11_four_taggers", "SELECT model, tag, support, precision, recall, f1 FROM sc"),
+    ("w12_f1_pivot_taggers", "SELECT model, " + ", ".join(f"max(f1) FILTER (tag = '{t}') AS \"{t}\"" for t in ("local", "en", "mixed", "name", "location", "other")) + " FROM sc GROUP BY model"),
+    ("w10_compare", "SELECT model, sum(support) AS words, round(avg(precision), 5) AS macro_precision, round(avg(recall), 5) AS macro_recall, round(avg(f1), 5) AS macro_f1 FROM sc GROUP BY model"),
+])
+def test_measures_of_the_taggers(spark, duck, predictions, name, sql):
+    """The measures of fitted taggers, on their stored predictions, in SQL."""
+    got = registry.QUERIES[name](spark, DIR).toPandas()
+    assert rows(got[got["model"].isin(FOUR)]) == rows(duck.sql(f"{SCORES} {sql}").df())
+
+
+def test_taggers_learn(spark):
+    f1 = {r["model"]: r["macro_f1"] for r in registry.QUERIES["w10_compare"](spark, DIR).collect()}
+    assert f1["m_ngram_vote"] >= max(f1[f"m_single_{k}_ngrams"] for k in ("svm", "lr", "mlp")) - 0.03
+    assert min(f1[m] for m in ("m_ngram_vote", "m_embedding_vote", "m_recurrent")) > 0.5
+
+
+def test_tuning_lowers_perplexity(spark):
+    got = {r["stage"]: r for r in registry.QUERIES["m_lm_finetuned"](spark, DIR).collect()}
+    assert got["after"]["perplexity"] < got["before"]["perplexity"] and got["after"]["pieces"] == got["before"]["pieces"]
+
+
+def test_contrasts(spark):
+    got = {r["contrast"]: r["delta"] for r in registry.QUERIES["w13_tagger_deltas"](spark, DIR).collect()}
+    f1 = {r["model"]: r["macro_f1"] for r in registry.QUERIES["w10_compare"](spark, DIR).collect()}
+    assert got["ngrams over vectors, vote"] == pytest.approx(f1["m_ngram_vote"] - f1["m_embedding_vote"], abs=2e-5) and len(got) == 14 and None not in got.values()
+
+
+def test_near_duplicates_by_minimal_hashes(spark, tmp_path):
+    import random
+
+    rng = random.Random(4)
+    base = [" ".join(f"w{rng.randrange(10**6)}" for _ in range(200)) for _ in range(20)]
+    texts = [*base, *(t + " end" for t in base), *(t.upper() for t in base[:5]), "too short", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["doc_id"]: r for r in registry.QUERIES["op_minhash"](spark, str(tmp_path)).collect()}
+    assert set(got) == set(range(45))
+    assert all(got[20 + i]["linked_to"] == i and got[i]["linked_to"] is None for i in range(20)) and all(got[40 + i]["class_id"] == i for i in range(5))
+
+
+def test_overlaps_cross_hours(spark, tmp_path):
+    """An interval of several hours meets each overlapping one once."""
+    import pandas as pd
+
+    at = pd.Timestamp("2024-01-01 10:50:00")
+    rows = [(e, at + pd.Timedelta(minutes=m), 1, kind) for e, m, kind in ((89, 0, "click"), (179, 5, "purchase"), (269, 95, "purchase"), (1, 94, "purchase"), (2, 400, "purchase"))]
+    spark.createDataFrame(pd.DataFrame(rows, columns=["event_id", "ts", "user_id", "event_type"])).selectExpr("event_id", "cast(ts as timestamp_ntz) ts", "user_id", "event_type").write.parquet(f"{tmp_path}/events.parquet")
+    got = registry.QUERIES["op_interval_events"](spark, str(tmp_path)).collect()
+    assert [(r["event_id"], r["overlaps"], r["shared_us"]) for r in got] == [(89, 1, 89 * 60_000_000)]
+
+
 def test_maps_count_the_whole_text(spark, tmp_path):
     texts = ["", "a b a", " ".join(f"w{i} W{i}" for i in range(900)), None]
     spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")

@@ -23,7 +23,14 @@ def b1(train: DataFrame, test: DataFrame) -> DataFrame:
 
 
 def b2(train: DataFrame, test: DataFrame) -> DataFrame:
-    """Look the word up; a word type is in one part only, so here it is the tag of the word without its last letter."""
+    """Look the word up among the training words; one that is not there has the majority tag. Of types that are split, none is there;
+    of tokens whose sentences are split, most are."""
+    known = _top(train.groupBy("word", "tag").agg(F.count("*").alias("n")), "word", "found")
+    return test.join(known, "word", "left").crossJoin(F.broadcast(majority(train))).select("word", F.col("tag").alias("gold"), F.coalesce("found", "top").alias("pred"))
+
+
+def b2_stem(train: DataFrame, test: DataFrame) -> DataFrame:
+    """Look up the word without its last letter among training words without theirs."""
     stem = lambda df: df.withColumn("stem", F.expr("substring(word, 1, greatest(length(word) - 1, 1))"))
     known = _top(stem(train).groupBy("stem", "tag").agg(F.count("*").alias("n")), "stem", "found")
     return stem(test).join(known, "stem", "left").crossJoin(F.broadcast(majority(train))).select("word", F.col("tag").alias("gold"), F.coalesce("found", "top").alias("pred"))
@@ -85,4 +92,4 @@ def b6(train: DataFrame, test: DataFrame) -> DataFrame:
     return best(charlm_scores(train, test))
 
 
-BASELINES = {"b1": b1, "b2": b2, "b3": b3, "b4": b4, "b5": b5, "b6": b6}
+BASELINES = {"b1": b1, "b2": b2, "b2_stem": b2_stem, "b3": b3, "b4": b4, "b5": b5, "b6": b6}

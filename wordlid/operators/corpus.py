@@ -47,38 +47,56 @@ def spelled(number, digits=SYLLABLES):
     return F.array_join(F.transform(F.filter(F.split(number.cast("string"), ""), lambda d: d != ""), lambda d: F.element_at(F.array(*map(F.lit, digits)), d.cast("int") + 1)), "")
 
 
+def mixed_words(base: DataFrame, stem: str, other: str) -> DataFrame:
+    """Stems of one language (3 to 8 letters, used twice or more), each with one of the 20 most frequent 3-letter suffixes of the other."""
+    suffix = base.filter((F.col("tag") == other) & (F.length("word") >= 6)).groupBy(F.right("word", F.lit(3)).alias("suffix")).agg(F.sum("n").alias("uses"))
+    top = suffix.orderBy(F.desc("uses"), "suffix").limit(20).withColumn("k", F.row_number().over(Window.orderBy(F.desc("uses"), "suffix")) - 1)  # 20 rows
+    stems = base.filter((F.col("tag") == stem) & F.length("word").between(3, 8) & (F.col("n") >= 2)).select("word", bucket(F.col("word"), of=20).alias("k"))
+    return stems.join(F.broadcast(top), "k").select(F.concat("word", "suffix").alias("word"), F.lit("mixed").alias("tag"))
+
+
 def planted(types: DataFrame, customer: DataFrame, supplier: DataFrame, nation: DataFrame, region: DataFrame) -> DataFrame:
-    """Names, places and mixed words that follow fixed rules; words that occur anyway are left out."""
+    """Names, places and mixed words, in both orders, that follow fixed rules; words that occur anyway are left out."""
     base = base_tags(types)
     names = customer.select(spelled(F.col("c_custkey") + 100).alias("word")).union(supplier.select(spelled(F.col("s_suppkey") + 5000000).alias("word"))).distinct().select("word", F.lit("name").alias("tag"))
     places = region.select(F.regexp_replace(F.lower("r_name"), "[^a-z]", "").alias("word")).union(nation.select(F.concat(spelled(F.col("n_nationkey") + 1000), F.lit("pur")).alias("word"))).distinct().select("word", F.lit("location").alias("tag"))
-    suffix = base.filter("tag = 'local' and length(word) >= 6").groupBy(F.right("word", F.lit(3)).alias("suffix")).agg(F.sum("n").alias("uses"))
-    top = suffix.orderBy(F.desc("uses"), "suffix").limit(20).withColumn("k", F.row_number().over(Window.orderBy(F.desc("uses"), "suffix")) - 1)  # 20 rows
-    stems = base.filter("tag = 'en' and length(word) between 3 and 8 and n >= 2").select("word", bucket(F.col("word"), of=20).alias("k"))
-    mixed = stems.join(F.broadcast(top), "k").select(F.concat("word", "suffix").alias("word"), F.lit("mixed").alias("tag")).distinct()
+    mixed = mixed_words(base, "en", "local").union(mixed_words(base, "local", "en")).distinct()
     every = names.unionByName(places).unionByName(mixed).groupBy("word").agg(F.min("tag").alias("tag"))
     return every.join(types.select("word"), "word", "left_anti")
 
 
+def smallest(rows: DataFrame, quota, by: str = "tag", key: str = "word", digits: int = 4) -> DataFrame:
+    """Of each group the rows whose key has the smallest MD5, as many as the column `quota` says.
+
+    Rows are counted by the first digits of the MD5, so that only those of one prefix in each group are ranked: no task sorts a group.
+    """
+    names = rows.columns
+    hashed = rows.withColumn("_h", F.md5(key)).withColumn("_p", F.substring("_h", 1, digits))
+    before = Window.partitionBy(by).orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
+    counts = hashed.groupBy(by, "_p").agg(F.count("*").alias("_n")).withColumn("_start", F.coalesce(F.sum("_n").over(before), F.lit(0)))
+    placed = hashed.join(F.broadcast(counts), [by, "_p"])  # 16 ** digits rows for each group at the most
+    whole = placed.filter(F.col("_start") + F.col("_n") <= quota)
+    torn = placed.filter((F.col("_start") < quota) & (F.col("_start") + F.col("_n") > quota))
+    ranked = torn.withColumn("_r", F.row_number().over(Window.partitionBy(by, "_p").orderBy("_h"))).filter(F.col("_start") + F.col("_r") <= quota)
+    return whole.select(names).unionByName(ranked.select(names))
+
+
 def tagged_words(types: DataFrame, customer: DataFrame, supplier: DataFrame, nation: DataFrame, region: DataFrame) -> DataFrame:
     """word, tag, n: each tag up to its share, the words with the smallest MD5."""
     every = base_tags(types).unionByName(planted(types, customer, supplier, nation, region).withColumn("n", F.lit(1).cast("long")))
-    total = F.floor(F.count_if(F.col("tag") == "local") / F.lit(2 * SHARES["local"]))
-    goal = every.agg(total.alias("total"))
-    order = F.row_number().over(Window.partitionBy("tag").orderBy(F.md5("word")))
+    goal = every.agg(F.floor(F.count_if(F.col("tag") == "local") / F.lit(2 * SHARES["local"])).alias("total"))  # one row
     share = F.element_at(F.create_map(*[F.lit(x) for kv in SHARES.items() for x in kv]), F.col("tag"))
-    # one row is broadcast; ranks are of word types, never of tokens
-    ranked = every.withColumn("r", order).crossJoin(F.broadcast(goal))
-    return ranked.filter(F.col("r") <= F.floor(F.col("total") * share)).select("word", "tag", "n")
+    return smallest(every.crossJoin(F.broadcast(goal)), F.floor(F.col("total") * share)).select("word", "tag", "n")
 
 
 def split_train_test(tagged: DataFrame, seed: str = "t", share: int = 70) -> DataFrame:
     return tagged.withColumn("part", F.when(bucket(F.col("word"), seed) < share, "train").otherwise("test"))
 
 
-def splice(sentences: DataFrame, local: str = "fr", run: int = 2) -> DataFrame:
-    """Code-mixed sentences: equal ranks of local and English sentences, interleaved by runs of words. Ranks are taken in MD5 buckets."""
-    ranked = sentences.filter(F.col("lang").isin("en", local)).withColumn("h", F.md5(F.concat_ws(":", "doc_id", "sent_no"))).withColumn("b", F.substring("h", 1, 2))
+def splice(sentences: DataFrame, local: str = "fr", run: int = 2, digits: int = 2) -> DataFrame:
+    """Code-mixed sentences: equal ranks of local and English sentences, interleaved by runs of words. Ranks are taken among sentences
+    whose MD5 begins with the same digits; more digits for more sentences keep what a task ranks small."""
+    ranked = sentences.filter(F.col("lang").isin("en", local)).withColumn("h", F.md5(F.concat_ws(":", "doc_id", "sent_no"))).withColumn("b", F.substring("h", 1, digits))
     ranked = ranked.withColumn("r", F.row_number().over(Window.partitionBy("lang", "b").orderBy("h")))
     one = lambda lang, name: ranked.filter(F.col("lang") == lang).select("b", "r", F.regexp_extract_all("text", F.lit("[^ ]+"), F.lit(0)).alias(name))
     both = one("en", "e").join(one(local, "l"), ["b", "r"])
@@ -89,6 +107,20 @@ def splice(sentences: DataFrame, local: str = "fr", run: int = 2) -> DataFrame:
     return both.select(F.concat_ws("-", "b", "r").alias("sid"), F.filter(F.array_sort(flat), lambda x: x["word"] != "").alias("words"))
 
 
+def insert_words(spliced: DataFrame, words: DataFrame, digits: int = 2) -> DataFrame:
+    """sid, words (strings): each of the words stands once in some sentence, at a place that its MD5 names."""
+    home = F.substring(F.md5("sid"), 1, digits)
+    rank = lambda by: F.row_number().over(Window.partitionBy("b").orderBy(F.md5(by)))
+    here = spliced.select("sid", F.transform("words", lambda x: x["word"]).alias("words"), home.alias("b")).withColumn("r", rank("sid"))
+    many = here.groupBy("b").agg(F.count("*").alias("many"))  # 16 ** digits rows
+    new = words.select("word", F.substring(F.md5("word"), 1, digits).alias("b")).withColumn("r", rank("word")).join(F.broadcast(many), "b")
+    new = new.groupBy("b", ((F.col("r") - 1) % F.col("many") + 1).alias("r")).agg(F.collect_list("word").alias("new"))
+    both = here.join(new, ["b", "r"], "left")
+    old = F.transform("words", lambda w, i: F.struct(i.cast("double").alias("at"), w.alias("word")))
+    put = F.transform(F.coalesce("new", F.array().cast("array<string>")), lambda w: F.struct((bucket(w, of=1 << 20) % (F.size("words") + 1) - 0.5).alias("at"), w.alias("word")))
+    return both.select("sid", F.transform(F.array_sort(F.concat(old, put)), lambda x: x["word"]).alias("words"))
+
+
 def drop_duplicate_comments(comments: DataFrame) -> DataFrame:
     """One row of each lower-cased text, that with the smallest doc_id; only digests are shuffled."""
     keys = comments.select("doc_id", F.md5(F.lower("text")).alias("k"))
@@ -108,12 +140,49 @@ def clean_flags(comments: DataFrame, lexicon: DataFrame, script: str = r"[^\x00-
     return flags.join(first, "k").join(known, "doc_id", "left").select("doc_id", "script", "short", (F.coalesce("all_en", F.lit(1)) == 1).alias("english_only"), (F.col("doc_id") != F.col("first")).alias("duplicate"))
 
 
-def balance(tagged: DataFrame, target: int) -> DataFrame:
-    """At most `target` words of each tag, those with the smallest MD5."""
-    return tagged.withColumn("_r", F.row_number().over(Window.partitionBy("tag").orderBy(F.md5("word")))).filter(F.col("_r") <= target).drop("_r")
+RULES = ("duplicate", "script", "short", "english_only")
+ONLY_SIGNS = r"^[\p{So}\p{Sk}\p{Cf}\p{Cc}\s]+$"
+
+
+def clean_comments(comments: DataFrame, lexicon: DataFrame, script: str = r"[^\x00-\x7F]", least: int = 3, rules: tuple[str, ...] = RULES, emoji_mode: str = "strip") -> tuple[DataFrame, DataFrame]:
+    """The cleaned comments, with all their columns, and a row of counts after each rule.
+
+    Emojis and unprintable characters go first (strip), or comments of nothing else go (drop_only_emoji); then what each of the rules names,
+    as the text is by then. Without the rules script and english_only, comments in the local script or in English alone stay.
+    """
+    if emoji_mode == "strip":
+        text = comments.withColumn("text", strip_unprintable(F.col("text")))
+    else:
+        text = comments.filter(~F.coalesce(F.col("text").rlike(ONLY_SIGNS), F.lit(False)))
+    flags = clean_flags(text.select("doc_id", "text"), lexicon, script, least)
+    keep, counts = F.lit(True), [F.count("*").alias("comments")]
+    for rule in rules:
+        keep = keep & ~F.col(rule)
+        counts.append(F.count_if(keep).alias(f"after_{rule}"))
+    return text.join(flags.filter(keep).select("doc_id"), "doc_id", "left_semi"), flags.agg(*counts)
+
+
+def balance(tagged: DataFrame, target: int, mode: str = "under") -> DataFrame:
+    """At most `target` words of each tag, those with the smallest MD5 (under); or exactly `target` rows of each tag, fewer words repeated (over)."""
+    few = smallest(tagged, F.lit(target))
+    if mode == "under":
+        return few
+    many = tagged.groupBy("tag").agg(F.count("*").alias("_many"))  # one row a tag
+    rows = few.join(F.broadcast(many), "tag").withColumn("_many", F.least("_many", F.lit(target)))
+    whole = rows.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.floor(F.lit(target) / F.col("_many")).cast("int"))))
+    rest = smallest(rows, F.lit(target) % F.col("_many"))
+    return whole.select(tagged.columns).unionByName(rest.select(tagged.columns))
 
 
 def mix_profile(tokens: DataFrame, tags: DataFrame, level: list[str]) -> DataFrame:
     """Counts of each tag at a coarser level."""
     found = tokens.join(tags.select("word", "tag"), "word")
     return found.groupBy(*level).agg(*[F.count_if(F.col("tag") == t).alias(f"n_{t}") for t in ("local", "en", "other")], F.count("*").alias("n_words"))
+
+
+def context_bag(tokens: DataFrame, k: int = 1, length: int = 3) -> DataFrame:
+    """doc_id, sent_no, pos, word, offset, feature: the suffix of each neighbour up to k words away, marked by where it stands."""
+    w = Window.partitionBy("doc_id", "sent_no").orderBy("pos")
+    near = [F.struct(F.lit(o).alias("offset"), F.right(F.lead("word", o).over(w) if o > 0 else F.lag("word", -o).over(w), F.lit(length)).alias("feature")) for o in range(-k, k + 1) if o]
+    rows = tokens.select("doc_id", "sent_no", "pos", "word", F.array(*near).alias("near"))
+    return rows.select("doc_id", "sent_no", "pos", "word", F.explode("near").alias("x")).select("doc_id", "sent_no", "pos", "word", "x.offset", "x.feature").filter("feature is not null")

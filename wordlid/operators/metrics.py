@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Callable
+
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from wordlid.io import small_table
 from wordlid.operators.corpus import TAGS
 
 
@@ -28,6 +32,11 @@ def per_tag(conf: DataFrame) -> DataFrame:
     return pr.select("tag", F.col("gold_n").alias("support"), F.round("precision", 6).alias("precision"), F.round("recall", 6).alias("recall"), F.round(f1, 6).alias("f1"))
 
 
+def f1_pivot(scores: DataFrame) -> DataFrame:
+    """A row for each model, a column for each tag."""
+    return scores.groupBy("model").pivot("tag", list(TAGS)).agg(F.max("f1"))
+
+
 def macro(scores: DataFrame) -> DataFrame:
     """Plain means over the tags: macro F1 is the mean of the F1s."""
     return scores.agg(*[F.round(F.avg(c), 5).alias(f"macro_{c}") for c in ("precision", "recall", "f1")])
@@ -48,3 +57,20 @@ def kappa(a: DataFrame) -> DataFrame:
     chance = g.join(p, "tag").agg(F.sum(F.col("g") * F.col("p")).alias("c"))
     po, pe = F.col("same") / F.col("t"), F.col("c") / (F.col("t") * F.col("t"))
     return n.crossJoin(chance).select(F.round((po - pe) / (1 - pe), 5).alias("kappa"))
+
+
+def stage_list(spark: SparkSession) -> list:
+    """The stages that the application has run, from Spark's own status store; it needs no web page."""
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+    found = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+    return [found.apply(i) for i in range(found.size())]
+
+
+def cost_report(spark: SparkSession, run: Callable, parameters: dict[str, int] | None = None) -> DataFrame:
+    """kind, name, tasks, seconds (of tasks), rows_read, shuffle_bytes, spilled_bytes of each stage that run() needed; and given numbers of parameters."""
+    before = {s.stageId() for s in stage_list(spark)}
+    run()
+    rows = [("stage", f"{s.stageId()}: {s.name()}", s.numCompleteTasks(), s.executorRunTime() / 1000, s.inputRecords() + s.shuffleReadRecords(), s.shuffleWriteBytes(), s.memoryBytesSpilled() + s.diskBytesSpilled()) for s in stage_list(spark) if s.stageId() not in before]
+    rows += [("parameters", k, v, None, None, None, None) for k, v in (parameters or {}).items()]
+    kinds = {"kind": pa.string(), "name": pa.string(), "tasks": pa.int64(), "seconds": pa.float64(), "rows_read": pa.int64(), "shuffle_bytes": pa.int64(), "spilled_bytes": pa.int64()}
+    return small_table(spark, **{c: pa.array([r[i] for r in rows], t) for i, (c, t) in enumerate(kinds.items())})

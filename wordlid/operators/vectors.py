@@ -2,10 +2,19 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.ml.feature import Word2Vec
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from wordlid.io import cut_lineage, small_table
+from wordlid.operators import training
+
+BLOCKS = ("word", "piece", "char")
+#: Units that get vectors: the most frequent ones. The driver holds a row of `dim` floats for each.
+MOST_UNITS = 200_000
+
 
 def composed_width(word: int = 200, piece: int = 100, char: int = 30, piece_slots: int = 8, char_slots: int = 10) -> int:
     return word + piece_slots * piece + char_slots * char
@@ -20,10 +29,80 @@ def train_skipgram(seqs: DataFrame, column: str, dim: int, window: int = 5, min_
     return found.select(F.col("word").alias("unit"), vector_to_array("vector", "float32").alias("v"))
 
 
-def compose(types: DataFrame, words: DataFrame, pieces: DataFrame, chars: DataFrame, dims: tuple[int, int, int], slots: tuple[int, int]) -> DataFrame:
+def suggest_dims(sequences: DataFrame, levels: tuple[str, ...] = BLOCKS) -> DataFrame:
+    """level, different (units in the table), average (different units in a sentence): sequences has an array column for each level."""
+    out = None
+    for level in levels:
+        kinds = F.array_distinct(level)
+        one = sequences.select(F.explode(kinds).alias("unit")).agg(F.count_distinct("unit").alias("different")).crossJoin(sequences.agg(F.round(F.avg(F.size(kinds)), 6).alias("average"))).select(F.lit(level).alias("level"), "different", "average")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _pairs(load_ids: np.ndarray, ends: np.ndarray, window: int) -> np.ndarray:
+    """(unit, neighbour) up to `window` places apart in the same sequence."""
+    of = np.repeat(np.arange(len(ends) - 1), np.diff(ends))
+    out = []
+    for k in range(1, window + 1):
+        same = np.flatnonzero(of[:-k] == of[k:]) if len(of) > k else np.zeros(0, np.int64)
+        a, b = load_ids[same], load_ids[same + k]
+        out += [np.stack([a, b], 1), np.stack([b, a], 1)]
+    return np.concatenate(out) if out else np.zeros((0, 2), np.int64)
+
+
+def negative_gradient(share: np.ndarray, negatives: int):
+    """Loss and gradient of skip-gram with negative samples; share is the distribution that they are drawn from."""
+
+    def gradient(w: dict, batch: np.ndarray, rng) -> tuple[float, dict]:
+        a, b = batch[:, 0], batch[:, 1]
+        other = np.concatenate([b[:, None], rng.choice(len(share), (len(b), negatives), p=share)], 1)
+        sign = np.full(other.shape, -1.0)
+        sign[:, 0] = 1.0
+        x, y = w["in"][a], w["out"][other]
+        score = sign * np.einsum("nd,nkd->nk", x, y)
+        pull = -sign / (1 + np.exp(np.clip(score, -30, 30))) / len(a)
+        grads = {}
+        for name, at, g in (("in", a, np.einsum("nk,nkd->nd", pull, y)), ("out", other.ravel(), (pull[..., None] * x[:, None]).reshape(-1, x.shape[1]))):
+            rows, where = np.unique(at, return_inverse=True)
+            total = np.zeros((len(rows), g.shape[1]), w[name].dtype)
+            np.add.at(total, where, g.astype(total.dtype))
+            grads[name] = (rows, total)
+        return float(np.log1p(np.exp(-np.clip(score, -30, 30))).sum(1).mean()), grads
+
+    return gradient
+
+
+def train_skipgram_negative(seqs: DataFrame, column: str, dim: int, window: int = 5, negatives: int = 5, min_count: int = 1, epochs: int = 1, rounds: int = 1, seed: int = 1, most: int = MOST_UNITS) -> DataFrame:
+    """unit, v: skip-gram with negative samples, trained by rounds of local steps and averaging."""
+    counts = seqs.select(F.explode(column).alias("unit")).groupBy("unit").agg(F.count("*").alias("n")).filter(F.col("n") >= min_count)
+    top = counts.orderBy(F.desc("n"), "unit").limit(most).toArrow()
+    units, n = top["unit"].to_pylist(), top["n"].to_numpy()
+    spark = seqs.sparkSession
+    ids = small_table(spark, unit=pa.array(units, pa.string()), id=pa.array(range(len(units)), pa.int32()))
+    keyed = seqs.select(F.monotonically_increasing_id().alias("s"), F.col(column).alias("seq"))
+    known = cut_lineage(keyed, "sequences").select("s", F.posexplode("seq").alias("at", "unit")).join(F.broadcast(ids) if len(units) <= MOST_UNITS else ids, "unit")
+    rows = known.groupBy("s").agg(F.array_sort(F.collect_list(F.struct("at", "id"))).alias("a")).select(F.transform("a", lambda x: x["id"]).alias("xs")).filter("size(xs) > 1")
+
+    def load(got: list[pa.RecordBatch], size: int) -> list:
+        out = []
+        for b in got:
+            lists = b.column("xs")
+            pairs = _pairs(lists.flatten().to_numpy(zero_copy_only=False).astype(np.int64), np.concatenate([[0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))]), window)
+            out += [pairs[i : i + size] for i in range(0, len(pairs), size)]
+        return out
+
+    rng = np.random.default_rng(seed)
+    share = n**0.75 / (n**0.75).sum() if len(n) else np.ones(1)
+    start = {"in": rng.normal(0, 0.5 / dim, (max(1, len(units)), dim)).astype(np.float32), "out": np.zeros((max(1, len(units)), dim), np.float32)}
+    w = training.fit(rows, load, negative_gradient(share, negatives), start, rounds, 0.025, ((epochs, 1024),), seed, rows_each=5000)
+    return small_table(spark, unit=pa.array(units, pa.string()), v=pa.array(list(w["in"][: len(units)]), pa.list_(pa.float32())))
+
+
+def compose(types: DataFrame, words: DataFrame, pieces: DataFrame, chars: DataFrame, dims: tuple[int, int, int], slots: tuple[int, int], blocks: tuple[str, ...] = BLOCKS) -> DataFrame:
     """word, vec: the word's vector, its pieces' and its characters', each block filled up with zeros to its slots.
 
     types has word and pieces. An unknown word has a zero block; pieces and characters beyond the slots are cut.
+    Blocks that are not in `blocks` are left out.
     """
     zero = lambda n: F.array_repeat(F.lit(0.0).cast("float"), n)
 
@@ -36,7 +115,8 @@ def compose(types: DataFrame, words: DataFrame, pieces: DataFrame, chars: DataFr
     wide = types.join(words.withColumnRenamed("unit", "word"), "word", "left")
     p = block(F.col("pieces"), pieces, dims[1], slots[0]).withColumnRenamed("b", "p")
     c = block(F.filter(F.split("word", ""), lambda x: x != ""), chars, dims[2], slots[1]).withColumnRenamed("b", "c")
-    parts = F.concat(F.coalesce("v", zero(dims[0])), F.coalesce("p", zero(dims[1] * slots[0])), F.coalesce("c", zero(dims[2] * slots[1])))
+    each = {"word": F.coalesce("v", zero(dims[0])), "piece": F.coalesce("p", zero(dims[1] * slots[0])), "char": F.coalesce("c", zero(dims[2] * slots[1]))}
+    parts = F.concat(*[each[b] for b in blocks])
     return wide.join(p, "word", "left").join(c, "word", "left").select("word", parts.alias("vec"))
 
 

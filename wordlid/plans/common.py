@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from wordlid.functions.text import ACCENTED, PLAIN
-from wordlid.io import cut_lineage, read_table
+from wordlid.io import cut_lineage, discard, file_state, read_table
 from wordlid.operators import corpus
 
 LOCAL = "fr"
@@ -13,11 +13,32 @@ _kept: dict = {}
 
 
 def kept(spark: SparkSession, sf_dir: str, name: str, make) -> DataFrame:
-    """What make() returns, written to the shared folder the first time."""
+    """What make() returns, written to the shared folder the first time and again when the tables' files have changed."""
     key = (spark.sparkContext.applicationId, sf_dir, name)
+    state = file_state(spark, sf_dir)
+    if key in _kept and _kept[key][0] != state:
+        discard(_kept.pop(key)[1])
     if key not in _kept:
-        _kept[key] = cut_lineage(make(), name)
-    return _kept[key]
+        _kept[key] = (state, cut_lineage(make(), name))
+    return _kept[key][1]
+
+
+def once(spark: SparkSession, sf_dir: str, name: str, make):
+    """A fitted object, which is small, made once for the same files."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, file_state(spark, sf_dir))
+    if key not in _made:
+        _made[key] = make()
+    return _made[key]
+
+
+def forget() -> None:
+    """Drop what is kept of all tables."""
+    discard(*[t for _, t in _kept.values()])
+    _kept.clear()
+    _made.clear()
+
+
+_made: dict = {}
 
 
 def docs(spark, d):
@@ -46,6 +67,7 @@ def parts(spark, d):
     return tuple(split.filter(f"part = '{p}'").select("word", "tag") for p in ("train", "test"))
 
 
+PAIR = f"lang IN ('en', '{LOCAL}')"
 ROM = f"translate(lower(text), '{ACCENTED}', '{PLAIN}')"
 BUCKET = lambda key, of=100: f"(('0x' || substr(md5({key}), 1, 8))::BIGINT % {of})::INTEGER"
 SENT = rf"""s0 AS (SELECT source, doc_id, lang, regexp_split_to_array({ROM}, '[.!?]*\n|[.!?]+ ') AS a FROM documents),
@@ -58,12 +80,12 @@ TYP = TOK + f""",
  base AS (SELECT word, n, CASE WHEN NOT regexp_full_match(word, '[a-z]+') THEN 'other' WHEN e * 5 >= n * 4 THEN 'en' WHEN l * 5 >= n * 4 THEN 'local' ELSE 'other' END AS tag FROM typ)"""
 _SYL = "[" + ", ".join(f"'{s}'" for s in corpus.SYLLABLES) + "]"
 _SPELL = lambda x: f"array_to_string(list_transform(regexp_extract_all(({x})::VARCHAR, '.'), lambda c: {_SYL}[c::INTEGER + 1]), '')"
+_TOP20 = lambda lang: f"(SELECT suffix, row_number() OVER (ORDER BY uses DESC, suffix) - 1 AS k FROM (SELECT right(word, 3) AS suffix, sum(n) AS uses FROM base WHERE tag = '{lang}' AND length(word) >= 6 GROUP BY 1 ORDER BY uses DESC, suffix LIMIT 20))"
+_MIX = lambda stem, other: f"SELECT b.word || top.suffix, 'mixed' FROM base b JOIN {_TOP20(other)} top ON top.k = {BUCKET('b.word', 20)} WHERE b.tag = '{stem}' AND length(b.word) BETWEEN 3 AND 8 AND b.n >= 2"
 TAGGED = TYP + f""",
- suf AS (SELECT right(word, 3) AS suffix, sum(n) AS uses FROM base WHERE tag = 'local' AND length(word) >= 6 GROUP BY 1 ORDER BY uses DESC, suffix LIMIT 20),
- top AS (SELECT suffix, row_number() OVER (ORDER BY uses DESC, suffix) - 1 AS k FROM suf),
  pl0 AS (SELECT {_SPELL('c_custkey + 100')} AS word, 'name' AS tag FROM customer UNION SELECT {_SPELL('s_suppkey + 5000000')}, 'name' FROM supplier
    UNION SELECT regexp_replace(lower(r_name), '[^a-z]', '', 'g'), 'location' FROM region UNION SELECT {_SPELL('n_nationkey + 1000')} || 'pur', 'location' FROM nation
-   UNION SELECT b.word || top.suffix, 'mixed' FROM base b JOIN top ON top.k = {BUCKET('b.word', 20)} WHERE b.tag = 'en' AND length(b.word) BETWEEN 3 AND 8 AND b.n >= 2),
+   UNION {_MIX('en', 'local')} UNION {_MIX('local', 'en')}),
  pl AS (SELECT word, min(tag) AS tag FROM pl0 WHERE word NOT IN (SELECT word FROM typ) GROUP BY word),
  evry AS (SELECT word, n, tag FROM base UNION ALL SELECT word, 1, tag FROM pl),
  tot AS (SELECT floor(count(*) FILTER (tag = 'local') / {2 * corpus.SHARES['local']}::DOUBLE) AS total FROM evry),

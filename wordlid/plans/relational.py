@@ -6,12 +6,13 @@ import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from wordlid.io import read_table, shared_root
+from wordlid.io import load_artifact, read_table, save_artifact, temporary
 from wordlid.operators import corpus as C
 from wordlid.operators import metrics as M
 from wordlid.plans.common import SENT, SPLIT, TAGGED, TOK, TYP, docs, kept, parts, sentences, tagged, tokens, types
 from wordlid.plans.workloads import PRED, predicted
 from wordlid.sources.html import html_to_text
+from wordlid.functions import text as T
 
 Q: dict = {}
 S: dict = {}
@@ -41,7 +42,7 @@ query("op_html_to_text", rf"SELECT page_id, trim(regexp_replace({_ENT}, '[\x20\x
 def _roundtrip(kind):
     def run(spark, d):
         rows = table("customer")(spark, d).select("c_custkey", "c_name", "c_nationkey")
-        path = f"{shared_root(spark)}/tables/{kind}-{spark.sparkContext.applicationId}-{abs(hash(d))}"
+        path = temporary(spark, kind)
         rows.write.mode("overwrite").format(kind).option("header", "true").save(path)
         return spark.read.schema(rows.schema).format(kind).option("header", "true").load(path)
 
@@ -53,11 +54,20 @@ for _k in ("parquet", "json", "csv", "orc"):
 
 query("op_filter_regex", f"WITH {TYP} SELECT word, n FROM typ WHERE regexp_matches(word, '(ing|tion)$') AND n BETWEEN 2 AND 50")(lambda spark, d: types(spark, d).filter(F.col("word").rlike("(ing|tion)$") & F.col("n").between(2, 50)).select("word", "n"))
 query("op_case_tag", f"WITH {TYP} SELECT word, tag FROM base")(lambda spark, d: C.base_tags(types(spark, d)).select("word", "tag"))
-query("op_null_safe", "SELECT count(*) FILTER (d.lang IS NOT DISTINCT FROM l.quality::VARCHAR) AS same, count(*) AS n FROM documents d LEFT JOIN labels l USING (doc_id)")(
-    lambda spark, d: docs(spark, d).join(table("labels")(spark, d), "doc_id", "left").agg(F.count_if(F.col("lang").eqNullSafe(F.col("quality").cast("string"))).alias("same"), F.count("*").alias("n"))
+query("op_null_safe", "SELECT count(*) FILTER (l.quality IS NOT DISTINCT FROM l.toxic) AS same_or_both_null, count(*) FILTER (l.quality = l.toxic) AS same, count(*) AS n FROM documents d LEFT JOIN labels l USING (doc_id)")(
+    lambda spark, d: docs(spark, d).join(table("labels")(spark, d), "doc_id", "left").agg(F.count_if(F.col("quality").eqNullSafe(F.col("toxic"))).alias("same_or_both_null"), F.count_if(F.col("quality") == F.col("toxic")).alias("same"), F.count("*").alias("n"))
 )
 
 
+@query("op_artifact_roundtrip", f"WITH {TAGGED} SELECT word, tag, n FROM tagged")
+def artifact(spark, d):
+    """The tagged word set, saved to share and loaded again."""
+    path = temporary(spark, "artifact")
+    save_artifact(tagged(spark, d), path, "tagged-words")
+    return load_artifact(spark, path, "tagged-words")
+
+
+
 @query("op_broadcast_lexicon", f"WITH {TYP}, u AS (SELECT word FROM typ ORDER BY n DESC, word LIMIT 100) SELECT lang, count(*) AS uses FROM tok JOIN u USING (word) GROUP BY lang")
 def broadcast_lexicon(spark, d):
     """The hundred most frequent types are broadcast to all tokens."""
@@ -93,9 +103,15 @@ def range_events(spark, d):
     return e.join(b, ["user_id", "h"]).filter(F.col("t").between(F.col("ts") - hour, F.col("ts") + hour)).groupBy("event_id").agg(F.count("*").alias("near"))
 
 
-@query("op_interval_events", "SELECT n_chars // 1000 AS band, count(*) AS docs, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY 1")
-def interval_bands(spark, d):
-    return docs(spark, d).groupBy(F.expr("n_chars div 1000").alias("band")).agg(F.count("*").alias("docs"), F.sum("n_chars").alias("chars"))
+@query("op_interval_events", "WITH i AS (SELECT event_id, user_id, event_type, epoch_us(ts) AS a, epoch_us(ts) + 60000000 * (5 + event_id % 90) AS b FROM events) SELECT x.event_id, count(*) AS overlaps, sum(least(x.b, y.b) - greatest(x.a, y.a))::BIGINT AS shared_us FROM i x JOIN i y ON x.user_id = y.user_id AND x.event_type = 'click' AND y.event_type = 'purchase' AND x.a < y.b AND y.a < x.b GROUP BY x.event_id")
+def interval_events(spark, d):
+    """An overlap join of intervals: each is put into the hours that it touches, and a pair counts in the hour in which it begins to overlap."""
+    hour = 3_600_000_000
+    i = events(spark, d).select("event_id", "user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("a")).withColumn("b", F.col("a") + 60_000_000 * (5 + F.col("event_id") % 90))
+    i = i.withColumn("h", F.explode(F.sequence(F.floor(F.col("a") / hour), F.floor((F.col("b") - 1) / hour))))
+    x, y = i.filter("event_type = 'click'"), i.filter("event_type = 'purchase'").select("user_id", "h", F.col("a").alias("c"), F.col("b").alias("e"))
+    met = x.join(y, ["user_id", "h"]).filter((F.col("a") < F.col("e")) & (F.col("c") < F.col("b")) & (F.col("h") == F.floor(F.greatest("a", "c") / hour)))
+    return met.groupBy("event_id").agg(F.count("*").alias("overlaps"), F.sum(F.least("b", "e") - F.greatest("a", "c")).alias("shared_us"))
 
 
 @query("op_asof_events", "SELECT a.event_id, max_by(b.event_id, (b.ts, b.event_id)) AS last_click FROM events a LEFT JOIN events b ON a.user_id = b.user_id AND b.event_type = 'click' AND (b.ts, b.event_id) < (a.ts, a.event_id) GROUP BY a.event_id")
@@ -158,15 +174,23 @@ def context(spark, d):
 
 
 @query("op_running_vocab", f"WITH {TOK}, f AS (SELECT source, word, min(doc_id) AS doc_id FROM tok GROUP BY source, word), c AS (SELECT source, doc_id, count(*) AS fresh FROM f GROUP BY source, doc_id) SELECT source, doc_id, fresh, (sum(fresh) OVER (PARTITION BY source ORDER BY doc_id))::BIGINT AS vocab FROM c")
-def running_vocab(spark, d):
+def running_vocab(spark, d, block=1 << 12):
+    """Running sums inside blocks of doc_ids, and over the blocks' totals, so that no task holds a source."""
     first = tokens(spark, d).groupBy("source", "word").agg(F.min("doc_id").alias("doc_id"))
-    c = first.groupBy("source", "doc_id").agg(F.count("*").alias("fresh"))
-    return c.withColumn("vocab", F.sum("fresh").over(Window.partitionBy("source").orderBy("doc_id")))
+    c = first.groupBy("source", "doc_id").agg(F.count("*").alias("fresh")).withColumn("block", F.floor(F.col("doc_id") / block))
+    before = Window.partitionBy("source").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    starts = c.groupBy("source", "block").agg(F.sum("fresh").alias("n")).select("source", "block", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
+    inside = F.sum("fresh").over(Window.partitionBy("source", "block").orderBy("doc_id"))
+    return c.withColumn("inside", inside).join(starts, ["source", "block"]).select("source", "doc_id", "fresh", (F.col("start") + F.col("inside")).alias("vocab"))
 
 
 @query("op_range_frame", "SELECT doc_id, count(*) OVER (PARTITION BY lang ORDER BY n_chars RANGE BETWEEN 100 PRECEDING AND 100 FOLLOWING) AS alike FROM documents")
 def range_frame(spark, d):
-    return docs(spark, d).select("doc_id", F.count("*").over(Window.partitionBy("lang").orderBy("n_chars").rangeBetween(-100, 100)).alias("alike"))
+    """The frame is counted once for each length that occurs, not for each document."""
+    w = Window.partitionBy("lang").orderBy("n_chars").rangeBetween(-100, 100)
+    lengths = docs(spark, d).groupBy("lang", "n_chars").agg(F.count("*").alias("n")).select(F.col("lang").alias("_lang"), F.col("n_chars").alias("_n"), F.sum("n").over(w).alias("alike"))
+    rows = docs(spark, d).select("doc_id", "lang", "n_chars")
+    return rows.join(lengths, F.col("lang").eqNullSafe(F.col("_lang")) & F.col("n_chars").eqNullSafe(F.col("_n"))).select("doc_id", "alike")
 
 
 query("op_top_suffixes", f"WITH {TOK} SELECT right(word, 3) AS suffix, count(*) AS n FROM tok WHERE length(word) >= 3 GROUP BY 1 ORDER BY n DESC, suffix LIMIT 25")(lambda spark, d: tokens(spark, d).filter("length(word) >= 3").groupBy(F.right("word", F.lit(3)).alias("suffix")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "suffix").limit(25))
@@ -183,7 +207,7 @@ query("op_arrays", "SELECT vec_id, round(list_sum(list_transform(embedding, lamb
 )
 
 
-@query("op_maps", "SELECT doc_id, len(list_distinct(regexp_split_to_array(lower(left(text, 200)), ' '))) AS kinds FROM documents")
+@query("op_maps", "SELECT doc_id, len(list_distinct(regexp_split_to_array(lower(text), ' '))) AS kinds FROM documents")
 def maps(spark, d):
     words = F.array_distinct(F.split(F.lower("text"), " "))
     return docs(spark, d).select("doc_id", F.size(F.map_keys(F.map_from_entries(F.transform(words, lambda w: F.struct(w, F.length(w)))))).cast("long").alias("kinds"))
@@ -225,13 +249,42 @@ def udtf_features(spark, d):
 query("op_exact_dups", "SELECT doc_id FROM documents QUALIFY doc_id = min(doc_id) OVER (PARTITION BY lower(text))")(lambda spark, d: C.drop_duplicate_comments(docs(spark, d)).select("doc_id"))
 
 
-@query("op_shingle_pairs", f"WITH {SENT}, x AS (SELECT DISTINCT doc_id, md5(text) AS h FROM sent WHERE length(text) >= 40), few AS (SELECT h FROM x GROUP BY h HAVING count(*) BETWEEN 2 AND 20) SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS shared FROM x a JOIN few USING (h) JOIN x b USING (h) WHERE a.doc_id < b.doc_id GROUP BY 1, 2 HAVING count(*) >= 3")
-def shingle_pairs(spark, d):
-    """Documents that share at least three long sentences which at most twenty documents have."""
+@query("op_shingle_pairs", f"""WITH {SENT}, x AS (SELECT DISTINCT doc_id, md5(text) AS h FROM sent WHERE length(text) >= 40), k AS (SELECT doc_id, md5(string_agg(h, '' ORDER BY h)) AS k, count(*) AS sentences FROM x GROUP BY doc_id), c AS (SELECT k, min(doc_id) AS class_id FROM k GROUP BY k),
+ u AS (SELECT h, count(DISTINCT k) AS classes FROM x JOIN k USING (doc_id) GROUP BY h) SELECT doc_id, class_id, k.sentences, s.shared FROM k JOIN c USING (k) JOIN (SELECT doc_id, count(*) FILTER (classes > 1) AS shared FROM x JOIN u USING (h) GROUP BY doc_id) s USING (doc_id)""")
+def shingle_classes(spark, d):
+    """Documents by their long sentences: those with the same set are one class, and `shared` says how many of a document's sentences other
+    classes have. A sentence that very many have is counted like others, and no pairs are made."""
     x = sentences(spark, d).filter("length(text) >= 40").select("doc_id", F.md5("text").alias("h")).distinct()
-    few = x.groupBy("h").count().filter("count between 2 and 20").select("h")
-    y = x.join(few, "h")
-    return y.toDF("h", "a").join(y.toDF("h", "b"), "h").filter("a < b").groupBy("a", "b").agg(F.count("*").alias("shared")).filter("shared >= 3")
+    own = x.groupBy("doc_id").agg(F.array_sort(F.collect_list("h")).alias("hs")).select("doc_id", "hs", F.md5(F.array_join("hs", "")).alias("k"))
+    own = kept(spark, d, "sentence-sets", lambda: own)
+    classes = kept(spark, d, "sentence-classes", lambda: own.groupBy("k").agg(F.min("doc_id").alias("class_id"), F.any_value("hs").alias("hs")))
+    each = classes.select("class_id", F.explode("hs").alias("h"))
+    common = each.groupBy("h").agg(F.count("*").alias("classes")).filter("classes > 1")
+    shared = each.join(common, "h").groupBy("class_id").agg(F.count("*").alias("shared"))
+    named = classes.select("k", "class_id").join(shared, "class_id", "left")
+    return own.select("doc_id", "k", F.size("hs").cast("long").alias("sentences")).join(named, "k").select("doc_id", "class_id", "sentences", F.coalesce("shared", F.lit(0)).cast("long").alias("shared"))
+
+
+@query("op_minhash")
+def minhash_stars(spark, d, hashes=32, band=4, least=0.8):
+    """Near-duplicates by minimal hashes of word 5-grams, in column functions: equal sets are one class, each bucket of a band of hashes gives
+    its smallest document edges to the others, and an edge stays if the sets are `least` alike. One row for each document: its class, and
+    the document that it is linked to, if any."""
+    words = docs(spark, d).select("doc_id", F.regexp_extract_all(F.lower("text"), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0)).alias("w")).filter("size(w) >= 5")
+    grams = F.array_sort(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 4), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 5), " ")))))
+    sets = kept(spark, d, "gram-sets", lambda: words.select("doc_id", grams.alias("g")).withColumn("k", F.md5(F.array_join("g", ","))))
+    classes = kept(spark, d, "gram-classes", lambda: sets.groupBy("k").agg(F.min("doc_id").alias("class_id"), F.any_value("g").alias("g")))
+    least_of = lambda seed: F.array_min(F.transform("g", lambda x: F.xxhash64(F.lit(seed), x)))
+    bands = F.array(*[F.xxhash64(F.lit(b), *[least_of(b * band + i) for i in range(band)]) for b in range(hashes // band)])
+    at = classes.select("class_id", F.explode(bands).alias("bucket"))
+    stars = at.groupBy("bucket").agg(F.min("class_id").alias("centre"))
+    edges = at.join(stars, "bucket").filter("class_id <> centre").select("class_id", "centre").distinct()
+    both = edges.join(classes.select("class_id", "g"), "class_id").join(classes.select(F.col("class_id").alias("centre"), F.col("g").alias("o")), "centre")
+    common = F.size(F.array_intersect("g", "o"))
+    links = both.select("class_id", "centre", (common / (F.size("g") + F.size("o") - common)).alias("similarity")).filter(F.col("similarity") >= least)
+    best = links.groupBy("class_id").agg(F.min("centre").alias("linked_to"), F.min_by("similarity", "centre").alias("similarity"))
+    named = classes.select("k", "class_id").join(best, "class_id", "left")
+    return sets.select("doc_id", "k").join(named, "k").select("doc_id", "class_id", "linked_to", F.round("similarity", 6).alias("similarity"))
 
 
 @query("op_benchmark_overlap", rf"WITH w AS (SELECT doc_id, regexp_extract_all(lower(text), '[^\x20\x09-\x0D]+') AS a FROM documents), g AS (SELECT DISTINCT doc_id, md5(array_to_string(a[i:i + 7], ' ')) AS h FROM (SELECT doc_id, a, unnest(generate_series(1, len(a) - 7)) AS i FROM w)), bw AS (SELECT item_id, regexp_extract_all(lower(text), '[^\x20\x09-\x0D]+') AS a FROM benchmark), bg AS (SELECT DISTINCT md5(array_to_string(a[i:i + 7], ' ')) AS h FROM (SELECT item_id, a, unnest(generate_series(1, len(a) - 7)) AS i FROM bw)) SELECT doc_id, count(*) AS shared FROM g JOIN bg USING (h) GROUP BY doc_id")
@@ -258,10 +311,16 @@ def revenue(spark, d):
     return lines.join(sup, F.col("l_suppkey") == F.col("s_suppkey")).groupBy("n_name").agg(F.round(F.sum("v"), 2).alias("revenue"))
 
 
-@query("op_normalise", f"WITH {TYP} SELECT word FROM typ WHERE regexp_matches(word, 'aaa|eee|iii|ooo|sss')")
-def normalise(spark, d):
-    """Types that run-squeezing would change."""
-    return types(spark, d).filter(F.col("word").rlike("aaa|eee|iii|ooo|sss")).select("word")
+_SQUEEZED = "word"
+for _c in "abcdefghijklmnopqrstuvwxyz0123456789":
+    _SQUEEZED = f"regexp_replace({_SQUEEZED}, '{_c}{{3,}}', '{_c}{_c}', 'g')"
+_SPELT = "CASE sq " + " ".join(f"WHEN '{k}' THEN '{v}'" for k, v in (T.DIGIT_SPELLINGS | T.ABBREVIATIONS).items()) + " ELSE sq END"
+
+
+@query("op_normalise", f"WITH {TYP}, z AS (SELECT word, {_SQUEEZED} AS sq FROM typ WHERE regexp_full_match(word, '[a-z0-9]+')) SELECT word, {_SPELT} AS spelt FROM z")
+def normalised(spark, d):
+    """Types in their usual spelling: runs of a character squeezed, spellings with digits and abbreviations written out."""
+    return types(spark, d).filter(F.col("word").rlike("^[a-z0-9]+$")).select("word", T.normalise(F.col("word")).alias("spelt"))
 
 
 @query("op_balance", f"WITH {TAGGED} SELECT word, tag FROM tagged QUALIFY row_number() OVER (PARTITION BY tag ORDER BY md5(word)) <= 100")
@@ -269,6 +328,12 @@ def balanced(spark, d):
     return C.balance(tagged(spark, d), 100).select("word", "tag")
 
 
+@query("op_balance_over", f"WITH {TAGGED}, few AS (SELECT word, tag, row_number() OVER (PARTITION BY tag ORDER BY md5(word)) AS r, least(count(*) OVER (PARTITION BY tag), 100) AS k FROM tagged) SELECT word, tag, (100 // k + CASE WHEN r <= 100 % k THEN 1 ELSE 0 END)::BIGINT AS copies FROM few WHERE r <= 100")
+def oversampled(spark, d):
+    """A hundred rows of each tag; where there are fewer words, words are repeated."""
+    return C.balance(tagged(spark, d), 100, "over").groupBy("word", "tag").agg(F.count("*").alias("copies"))
+
+
 @query("op_splice")
 def spliced(spark, d):
     out = kept(spark, d, "splices", lambda: C.splice(sentences(spark, d)))

@@ -10,7 +10,7 @@ from wordlid.io import read_table
 from wordlid.operators import baselines as B
 from wordlid.operators import corpus as C
 from wordlid.operators import metrics as M
-from wordlid.plans.common import BUCKET, LOCAL, ORDER, SENT, SPLIT, TAGGED, TOK, TYP, docs, kept, parts, sentences, tagged, tokens, types
+from wordlid.plans.common import BUCKET, LOCAL, ORDER, PAIR, ROM, SENT, SPLIT, TAGGED, TOK, TYP, docs, kept, parts, sentences, tagged, tokens, types
 
 Q: dict = {}
 S: dict = {}
@@ -28,7 +28,6 @@ def query(name: str, sql: str | None = None):
 
 
 WORDS = r"len(regexp_extract_all(text, '[^\x20\x09-\x0D]+'))"
-PAIR = f"lang IN ('en', '{LOCAL}')"
 SCRIPT = r"regexp_matches(text, '[^\x00-\x7F]')"
 
 
@@ -79,6 +78,29 @@ def w3(spark, d):
     return sentences(spark, d).filter(F.col("lang").isin("en", LOCAL)).select("doc_id", "sent_no", F.when(b < 10, "tagged").otherwise("raw").alias("part"))
 
 
+_STRIP = r"regexp_replace(text, '[\p{So}\p{Sk}\p{Cf}]|[\x00-\x09\x0B-\x1F\x7F-\x{9F}]', '', 'g')"
+_WORDS3 = r"len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')) >= 3"
+
+
+@query("w2_clean", f"""WITH c AS (SELECT doc_id, {_STRIP} AS text FROM documents WHERE {PAIR}), lw AS (SELECT lang, regexp_replace(unnest(regexp_extract_all(lower(text), '[^\\x20\\x09-\\x0D]+')), '[.,!?]+$', '') AS word FROM documents),
+ lex AS (SELECT word FROM lw WHERE word <> '' GROUP BY word HAVING count(*) FILTER (lang = 'en') * 5 >= count(*) * 4),
+ cw AS (SELECT doc_id, regexp_replace(unnest(regexp_extract_all(lower(text), '[^\\x20\\x09-\\x0D]+')), '[.,!?]+$', '') AS word FROM c),
+ en AS (SELECT doc_id, bool_and(word IN (SELECT word FROM lex)) AS e FROM cw WHERE word <> '' GROUP BY doc_id)
+ SELECT doc_id, length(text) AS n_chars, md5(text) AS digest FROM (SELECT doc_id, text FROM c QUALIFY doc_id = min(doc_id) OVER (PARTITION BY lower(text))) LEFT JOIN en USING (doc_id) WHERE NOT regexp_matches(text, '[^\\x00-\\x7F]') AND {_WORDS3} AND NOT coalesce(e, true)""")
+def w2c(spark, d):
+    """The cleaned comments under all published rules."""
+    kept_, _ = C.clean_comments(pair(spark, d), lexicon(spark, d))
+    return kept_.select("doc_id", F.length("text").cast("long").alias("n_chars"), F.md5("text").alias("digest"))
+
+
+@query("w2_corpus", f"""WITH c AS (SELECT doc_id, {_STRIP} AS text FROM documents WHERE {PAIR}) SELECT doc_id, length(text) AS n_chars, md5(text) AS digest FROM c WHERE {_WORDS3} QUALIFY doc_id = min(doc_id) OVER (PARTITION BY lower(text))""")
+def w2k(spark, d):
+    """The corpus that later steps can use on these tables: duplicates and short comments go, comments in English alone stay, and the
+    rule on the script means the real block of the local script."""
+    kept_, _ = C.clean_comments(pair(spark, d), lexicon(spark, d), "[\u0C80-\u0CFF]", rules=("duplicate", "script", "short"))
+    return kept_.select("doc_id", F.length("text").cast("long").alias("n_chars"), F.md5("text").alias("digest"))
+
+
 query("w4_tagged", f"WITH {TAGGED} SELECT word, tag, n FROM tagged")(tagged)
 
 
@@ -105,6 +127,24 @@ def w5(spark, d):
     return out.agg(F.count("t").alias("shared_types"), F.count("k").alias("known_suffix"), F.count("*").alias("test_types"))
 
 
+_PART = BUCKET("'o' || doc_id || ':' || sent_no")
+
+
+@query("w5_oov", f"WITH {TOK}, t AS (SELECT word, {_PART} < 70 AS train FROM tok WHERE {PAIR}), k AS (SELECT DISTINCT word FROM t WHERE train) SELECT count(*) AS tokens, count(*) FILTER (k.word IS NULL) AS unknown_tokens, count(DISTINCT t.word) AS types, count(DISTINCT t.word) FILTER (k.word IS NULL) AS unknown_types FROM t LEFT JOIN k USING (word) WHERE NOT train")
+def w5o(spark, d):
+    """Words of the sentences held out that no other sentence has."""
+    t = tokens(spark, d).filter(F.col("lang").isin("en", LOCAL)).select("word", (T.bucket(F.concat_ws(":", "doc_id", "sent_no"), "o") < 70).alias("train"))
+    uses = t.groupBy("word").agg(F.count_if("train").alias("a"), F.count_if(~F.col("train")).alias("b")).filter("b > 0")  # one shuffle
+    new = F.col("a") == 0
+    return uses.agg(F.sum("b").alias("tokens"), F.coalesce(F.sum(F.when(new, F.col("b"))), F.lit(0)).alias("unknown_tokens"), F.count("*").alias("types"), F.count_if(new).alias("unknown_types"))
+
+
+@query("w7_context_bag", f"WITH {TOK}, x AS (SELECT lag(word) OVER w AS a, lead(word) OVER w AS b FROM tok WHERE lang = '{LOCAL}' WINDOW w AS (PARTITION BY doc_id, sent_no ORDER BY pos)), y AS (SELECT -1 AS off, right(a, 3) AS feature FROM x WHERE a IS NOT NULL UNION ALL SELECT 1, right(b, 3) FROM x WHERE b IS NOT NULL) SELECT off, feature, count(*) AS n FROM y GROUP BY off, feature")
+def w7x(spark, d):
+    """Suffixes of the words on either side."""
+    return C.context_bag(tokens(spark, d).filter(F.col("lang") == LOCAL)).groupBy(F.col("offset").alias("off"), "feature").agg(F.count("*").alias("n"))
+
+
 @query("w6_pairs_round1", f"WITH {TYP}, x AS (SELECT word, n FROM typ WHERE e > 0 AND regexp_full_match(word, '[a-z]+') AND length(word) >= 2), y AS (SELECT substr(word, i::INTEGER, 1) AS l, substr(word, i::INTEGER + 1, 1) AS r, n FROM (SELECT word, n, unnest(generate_series(1, length(word) - 1)) AS i FROM x)) SELECT l, r, sum(n)::BIGINT AS uses FROM y GROUP BY l, r")
 def w6(spark, d):
     w = types(spark, d).filter("e > 0 and length(word) >= 2").filter(F.col("word").rlike("^[a-z]+$"))
@@ -204,7 +244,8 @@ _CL = f"""t3 AS (SELECT g, {_CNT} FROM ({_G('train', (3,))}) GROUP BY g), t2 AS
  cl AS (SELECT word, tag AS gold, {', '.join(f'round(sum(ln((coalesce({t}, 0) + 0.5::DOUBLE) / (coalesce(h_{t}, 0) + 15::DOUBLE))), 6) AS {t}' for t in TAGS)} FROM ({_G('test', (3,))}) f LEFT JOIN t3 USING (g) LEFT JOIN t2 ON t2.h = substr(f.g, 1, 2) GROUP BY word, tag)"""
 PRED = {
     "b1": f"WITH {SPLIT}, {_MAJ}, out AS (SELECT word, tag AS gold, top AS pred FROM test, mj)",
-    "b2": f"WITH {SPLIT}, {_MAJ}, out AS (SELECT word, tag AS gold, coalesce(f, top) AS pred FROM test LEFT JOIN {_TOP('(SELECT substr(word, 1, greatest(length(word) - 1, 1)) AS stem, tag FROM train)', 'stem', 'f')} t ON t.stem = substr(word, 1, greatest(length(word) - 1, 1)), mj)",
+    "b2": f"WITH {SPLIT}, {_MAJ}, out AS (SELECT word, tag AS gold, coalesce(f, top) AS pred FROM test LEFT JOIN {_TOP('train', 'word', 'f')} t USING (word), mj)",
+    "b2_stem": f"WITH {SPLIT}, {_MAJ}, out AS (SELECT word, tag AS gold, coalesce(f, top) AS pred FROM test LEFT JOIN {_TOP('(SELECT substr(word, 1, greatest(length(word) - 1, 1)) AS stem, tag FROM train)', 'stem', 'f')} t ON t.stem = substr(word, 1, greatest(length(word) - 1, 1)), mj)",
     "b3": f"WITH {SPLIT}, {_MAJ}, out AS (SELECT word, tag AS gold, coalesce(p3, top) AS pred FROM test LEFT JOIN {_TOP(_SUF(3), 's3', 'p3')} t ON length(word) >= 3 AND t.s3 = right(word, 3), mj)",
     "b4": f"WITH {SPLIT}, {_NB}, out AS (SELECT word, gold, {_BEST} AS pred FROM nb)",
     "b5": f"WITH {SPLIT}, {_MAJ}, out AS (SELECT word, tag AS gold, coalesce(p5, p4, p3, p2, p1, top) AS pred FROM test " + " ".join(f"LEFT JOIN {_TOP(_SUF(k), f's{k}', f'p{k}')} q{k} ON length(word) >= {k} AND q{k}.s{k} = right(word, {k})" for k in range(1, 6)) + ", mj)",
@@ -257,7 +298,7 @@ def _each(select: str) -> str:
 
 
 query("w11_by_tag", _each("SELECT model, tag, support, precision, recall, f1 FROM sc"))(by_model)
-query("w12_f1_pivot", _each("SELECT model, " + ", ".join(f"max(f1) FILTER (tag = '{t}') AS {t}" for t in TAGS) + " FROM sc GROUP BY model"))(lambda spark, d: by_model(spark, d).groupBy("model").pivot("tag", list(TAGS)).agg(F.max("f1")))
+query("w12_f1_pivot", _each("SELECT model, " + ", ".join(f"max(f1) FILTER (tag = '{t}') AS {t}" for t in TAGS) + " FROM sc GROUP BY model"))(lambda spark, d: M.f1_pivot(by_model(spark, d)))
 
 
 @query("w13_deltas", _each("SELECT round(avg(f1) FILTER (model = 'b4') - avg(f1) FILTER (model = 'b3'), 5) AS ngrams_over_suffix, round(avg(f1) FILTER (model = 'b4') - avg(f1) FILTER (model = 'b6'), 5) AS bayes_over_charlm FROM sc"))
@@ -275,12 +316,17 @@ def softmax(scores):
     return scores.select("word", "gold", *[F.exp(F.col(t) - top).alias(t) for t in TAGS]).select("word", "gold", *[(F.col(t) / sum(F.col(x) for x in TAGS)).alias(f"p_{t}") for t in TAGS])
 
 
-@query("w14_soft_vote", f"WITH {SPLIT}, {_NB}, {_CL} SELECT a.word, a.gold, {', '.join(f'round((a.p_{t} + b.p_{t}) / 2, 4) AS {t}' for t in TAGS)} FROM {_PROB('nb')} a JOIN {_PROB('cl')} b ON a.word = b.word AND a.gold = b.gold")
+_B3 = f"SELECT word, coalesce(p3, top) AS p FROM test LEFT JOIN {_TOP(_SUF(3), 's3', 'p3')} t ON length(word) >= 3 AND t.s3 = right(word, 3), mj"
+
+
+@query("w14_soft_vote", f"WITH {SPLIT}, {_MAJ}, {_NB}, {_CL}, sx AS ({_B3}) SELECT a.word, a.gold, {', '.join(f"round((a.p_{t} + b.p_{t} + CASE WHEN sx.p = '{t}' THEN 1 ELSE 0 END) / 3, 4) AS {t}" for t in TAGS)} FROM {_PROB('nb')} a JOIN {_PROB('cl')} b ON a.word = b.word AND a.gold = b.gold JOIN sx ON sx.word = a.word")
 def w14(spark, d):
-    """Mean of the class probabilities of two closed-form scorers."""
+    """Mean of the class probabilities of three closed-form scorers, one of which is sure of its tag."""
     train, test = parts(spark, d)
     a, b = (softmax(f(train, test)).toDF("word", "gold", *[f"{x}_{t}" for t in TAGS]) for x, f in (("a", B.nb_scores), ("b", B.charlm_scores)))
-    return a.join(b, ["word", "gold"]).select("word", "gold", *[F.round((F.col(f"a_{t}") + F.col(f"b_{t}")) / 2, 4).alias(t) for t in TAGS])
+    sure = predicted(spark, d, "b3").select("word", "gold", F.col("pred").alias("c"))
+    each = a.join(b, ["word", "gold"]).join(sure, ["word", "gold"])
+    return each.select("word", "gold", *[F.round((F.col(f"a_{t}") + F.col(f"b_{t}") + (F.col("c") == t).cast("int")) / 3, 4).alias(t) for t in TAGS])
 
 
 @query("w14_hard_vote", f"WITH {SPLIT}, {_MAJ}, {_NB}, {_CL}, a AS (SELECT word, gold, {_BEST} AS p FROM nb), b AS (SELECT word, {_BEST} AS p FROM cl), c AS (SELECT word, coalesce(p3, top) AS p FROM test LEFT JOIN {_TOP(_SUF(3), 's3', 'p3')} t ON length(word) >= 3 AND t.s3 = right(word, 3), mj) SELECT a.word, a.gold, CASE WHEN b.p = c.p THEN b.p ELSE a.p END AS pred FROM a JOIN b USING (word) JOIN c USING (word)")
@@ -300,6 +346,17 @@ def w15(spark, d):
     return dist.groupBy("vec_id", "label").agg(F.min_by("k", F.struct("dist", "k")).alias("pred"))
 
 
+@query("b2_tokens", f"WITH {TYP}, t AS (SELECT word, tag, {_PART} < 70 AS train FROM tok JOIN base USING (word) WHERE {PAIR}), train AS (SELECT DISTINCT word, tag FROM t WHERE train), mj AS (SELECT arg_min(tag, -n * 10 + {ORDER}) AS top FROM (SELECT tag, count(*) AS n FROM t WHERE train GROUP BY tag)) SELECT t.tag AS gold, coalesce(train.tag, top) AS pred, count(*) AS n FROM t LEFT JOIN train USING (word), mj WHERE NOT t.train GROUP BY 1, 2")
+def b2t(spark, d):
+    """The look-up where it can find words: on the tokens of held-out sentences."""
+    t = tokens(spark, d).filter(F.col("lang").isin("en", LOCAL)).select("word", (T.bucket(F.concat_ws(":", "doc_id", "sent_no"), "o") < 70).alias("train"))
+    uses = t.groupBy("word").agg(F.count_if("train").alias("a"), F.count_if(~F.col("train")).alias("b")).join(C.base_tags(types(spark, d)).select("word", "tag"), "word")
+    rank = F.array_position(F.array(*map(F.lit, TAGS)), F.col("tag"))
+    top = uses.groupBy("tag").agg(F.sum("a").alias("n")).filter("n > 0").agg(F.min_by("tag", F.struct(-F.col("n"), rank)).alias("top"))  # one row
+    out = uses.filter("b > 0").crossJoin(F.broadcast(top)).select(F.col("tag").alias("gold"), F.when(F.col("a") > 0, F.col("tag")).otherwise(F.col("top")).alias("pred"), "b")
+    return out.groupBy("gold", "pred").agg(F.sum("b").alias("n"))
+
+
 MIX = "mixp AS (SELECT doc_id, count(*) FILTER (tag = 'local') AS n_local, count(*) FILTER (tag = 'en') AS n_en, count(*) FILTER (tag = 'other') AS n_other, count(*) AS n_words FROM tok JOIN base USING (word) GROUP BY doc_id)"
 
 
@@ -310,6 +367,17 @@ def mixp(spark, d):
 query("w16_mix_profile", f"WITH {TYP}, {MIX} SELECT * FROM mixp")(mixp)
 
 
+_TURN = f"c0 AS (SELECT conv_id, turn, regexp_split_to_array({ROM}, '[.!?]*\\n|[.!?]+ ') AS a FROM conversations), c1 AS (SELECT conv_id, turn, unnest(a) AS s FROM c0), c2 AS (SELECT conv_id, turn, unnest(regexp_extract_all(s, '[^ ]+')) AS w FROM c1), c3 AS (SELECT conv_id, turn, regexp_replace(w, '[.,!?]+$', '') AS word FROM c2)"
+
+
+@query("w16_turn_profile", f"WITH {TYP}, {_TURN} SELECT conv_id, turn, count(*) FILTER (tag = 'local') AS n_local, count(*) FILTER (tag = 'en') AS n_en, count(*) FILTER (tag = 'other') AS n_other, count(*) AS n_words FROM c3 JOIN base USING (word) WHERE word <> '' GROUP BY conv_id, turn")
+def w16t(spark, d):
+    """The same for each turn of a conversation."""
+    turns = read_table(spark, d, "conversations").select(F.struct("conv_id", "turn").alias("doc_id"), F.col("role").alias("source"), F.lit("").alias("lang"), "text")
+    out = C.mix_profile(C.to_tokens(C.to_sentences(turns)), C.base_tags(types(spark, d)), ["doc_id"])
+    return out.select("doc_id.conv_id", "doc_id.turn", "n_local", "n_en", "n_other", "n_words")
+
+
 @query("w17_mixed_docs", f"WITH {TOK}, u AS (SELECT word, lang, count(*) AS k FROM tok GROUP BY word, lang), m AS (SELECT word, max(k) AS k, sum(k) AS n FROM u GROUP BY word), own AS (SELECT u.word, u.lang AS home FROM u JOIN m USING (word) WHERE u.k * 5 >= m.n * 4), z AS (SELECT tok.doc_id, count(*) AS n, count(*) FILTER (home <> lang) AS far FROM tok LEFT JOIN own USING (word) GROUP BY doc_id) SELECT doc_id, n, far FROM z WHERE far >= 3 AND far * 10 >= n")
 def w17(spark, d):
     """Documents with at least a tenth and three of their words at home in another language."""

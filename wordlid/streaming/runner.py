@@ -2,12 +2,10 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from wordlid.io import shared_root
+from wordlid.io import temporary
 
 
 def stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -25,7 +23,7 @@ def run(df: DataFrame, mode: str = "append", key: list[str] | None = None) -> Da
     """Write the stream with availableNow. In update mode the last value of each key is the result;
     in complete mode each batch replaces the one before."""
     spark = df.sparkSession
-    base = f"{shared_root(spark)}/streams/{uuid.uuid4().hex}"
+    base = temporary(spark, "stream")
     out, schema = f"{base}/out", df.schema
     if mode == "append":
         q = df.writeStream.format("parquet").option("path", out).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
