@@ -1,12 +1,17 @@
 """The ten operators against brute force, on edge cases: nulls, empty and long texts, ties, repeats, empty tables, clashing columns."""
 
+import collections
 import hashlib
+import itertools
+import math
+import os
 import random
 import re
 import zlib
 
 import numpy as np
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 from wordlid.llm import bpe, chat, exactdedup, fingerprint, langid, minhash, mixing, quality, sharding, tokencounts
@@ -54,36 +59,66 @@ def none(spark):
     return spark.createDataFrame([], SCHEMA)
 
 
-def test_minimax_capacity_is_least():
-    rng = np.random.default_rng(1)
-    for _ in range(40):
-        sizes, k = rng.integers(0, 30, rng.integers(1, 12)), int(rng.integers(1, 5))
-
-        def best(i, k):
-            if k == 1:
-                return sizes[i:].sum()
-            return min(max(sizes[i:j].sum(), best(j, k - 1)) for j in range(i, len(sizes) + 1))
+def least_capacity(sizes, k):
+    """Brute force: the least largest part of k contiguous parts."""
+    upto = np.concatenate([[0], np.cumsum(sizes)])
+    best = [upto[-1] - x for x in upto]
+    for _ in range(k - 1):
+        best = [min(max(upto[j] - upto[i], best[j]) for j in range(i, len(upto))) for i in range(len(upto))]
+    return best[0]
 
-        capacity = sharding.smallest_capacity(sizes, k)
-        assert capacity == best(0, k)
-        edges = [0, *sharding.cut_points(sizes, k), len(sizes)]
-        assert edges == sorted(edges) and max(sizes[a:b].sum() for a, b in zip(edges, edges[1:])) == capacity
 
-
-def test_sharding(docs, rows, none):
+def test_minimax_capacity_is_least():
+    rng = np.random.default_rng(1)
+    for t in range(120):
+        n, k = int(rng.integers(1, 60)), int(rng.integers(1, 9))
+        sizes = rng.integers(1, 30, n)
+        if t % 3 == 0:
+            sizes[rng.integers(0, n)] = rng.integers(50, 2000)
+        groups = np.sort(rng.choice(np.arange(-128, 128), n, replace=False)).astype(np.int64) << 56
+
+        def cells(inside, bits):
+            c = groups[inside] >> (64 - bits)
+            return [(int(x) << (64 - bits), bits, sizes[inside][c == x].sum(), (c == x).sum()) for x in np.unique(c)]
+
+        def refine(old, at):
+            parts = [cells(groups >> (64 - old.bits[i]) == old.low[i] >> (64 - old.bits[i]), min(64, int(old.bits[i]) + 2)) for i in at]
+            return sharding.Cells(*zip(*sum(parts, [])))
+
+        cuts, found = sharding.plan_shards(sharding.Cells(*zip(*cells(np.ones(n, bool), 2))), k, refine)
+        edges = [0, *cuts, len(found.low)]
+        assert len(cuts) < k and edges == sorted(edges)
+        assert max(found.prefix[y] - found.prefix[x] for x, y in zip(edges, edges[1:])) == least_capacity(sizes, k)
+
+
+@pytest.mark.parametrize("bits", [16, 2])
+def test_sharding(docs, rows, none, monkeypatch, bits):
+    """Two bits make cells of several groups, which have to be split."""
+    monkeypatch.setattr(sharding, "UNIT_BITS", bits)
+    monkeypatch.setattr(sharding, "STEP_BITS", 3)
     got = sharding.shard_documents(docs, 5).collect()
     assert len(got) == len(rows)
     text = {r[0]: r[1] or "" for r in rows}
-    by_text, slots = {}, {}
+    by_text, slots, sizes = {}, {}, {}
     for r in got:
         assert r["size"] == len(text[r["doc_id"]].encode()) + 16 and r["text_crc32"] == zlib.crc32(text[r["doc_id"]].encode())
         by_text.setdefault(text[r["doc_id"]], set()).add(r["shard"])
         slots.setdefault(r["shard"], []).append(r["slot"])
+        sizes[r["shard"]] = sizes.get(r["shard"], 0) + r["size"]
     assert all(len(s) == 1 for s in by_text.values())
     assert all(sorted(s) == list(range(len(s))) for s in slots.values())
+    of = {t: sum(len(t.encode()) + 16 for r in rows if (r[1] or "") == t) for t in by_text}
+    order = sorted(by_text, key=lambda t: signed(xxhash.xxh64_intdigest(t.encode(), 42)))
+    assert max(sizes.values()) == least_capacity(np.array([of[t] for t in order]), 5)
+    placed = [min(by_text[t]) for t in order]
+    assert placed == sorted(placed)  # contiguous in the order of hashes
     assert sharding.shard_documents(none, 5).count() == 0
 
 
+def signed(x):
+    return x - (1 << 64) if x >> 63 else x
+
+
 def test_exact_duplicates(docs, rows, none):
     norm = lambda t: re.sub(r"[\x20\x09-\x0D]+", " ", t or "")
     groups = {}
@@ -108,9 +143,12 @@ def test_exact_duplicates_without_own_doc_id(spark):
     assert sorted((str(r["doc_id"]), r["text"]) for r in left) == [("1", "copy"), ("5", "another"), ("5", "twice"), ("6", "third"), ("None", " none"), ("None", "alone"), ("None", "alone too"), ("None", "none")]
 
 
-def test_identifiers_that_collide(spark):
+def test_identifiers_that_collide(docs, spark):
+    """With identifiers of two bits nearly all chunks collide, and digests tell them apart."""
     chunks = spark.createDataFrame([(1, 5), (1, 5), (2, 6), (2, 7)], "h long, d long")
-    assert exactdedup.ambiguous(chunks) == [2]
+    assert [r[0] for r in exactdedup.ambiguous(chunks).collect()] == [2]
+    few = exactdedup.exact_duplicates(docs, lambda h: F.pmod(h, F.lit(4)))
+    assert sorted(map(tuple, few.collect()), key=str) == sorted(map(tuple, exactdedup.exact_duplicates(docs).collect()), key=str)
 
 
 def test_token_counts(docs, rows, none):
@@ -123,6 +161,7 @@ def test_token_counts(docs, rows, none):
         k = r["n_tokens"]
         assert (r["docs"], r["tokens"]) == (n.count(k), n.count(k) * k)
         assert (r["docs_ge"], r["tokens_ge"], r["truncated_tokens"]) == (sum(x >= k for x in n), sum(x for x in n if x >= k), sum(min(x, k) for x in n))
+        assert r["share_le"] == pytest.approx(sum(x <= k for x in n) / len(n))
     assert tokencounts.truncated_total(hist, 77) == sum(min(x, 77) for x in n)
     assert tokencounts.quantile(hist, 0.5) == sorted(n)[(len(n) - 1) // 2]
     empty = tokencounts.token_histogram(none, tokenizer_path())
@@ -138,22 +177,70 @@ def test_chat(spark):
     assert chat.collapse(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 
-def test_fingerprints(docs, rows, none):
-    once = sorted({r[:2] for r in rows if r is not None}, key=lambda r: (r[0], r[1] or ""))
-    every = sorted([r[:2] for r in rows], key=lambda r: (r[0], r[1] or ""))
+def span_likeness(a, b):
+    """Brute force of the likeness: spans as texts."""
+    if a == b:
+        return 1.0
+    if not a or not b:
+        return 0.0
+
+    def cut(t, bits):
+        out, last = [], 0
+        for i in range(fingerprint.WINDOW, len(t)):
+            roll = 0
+            for c in t[i - fingerprint.WINDOW : i]:
+                roll = (roll * int(fingerprint.ODD) + ord(c) + 1) % 2**64
+            if int(fingerprint.mixed(np.array([roll], np.uint64))[0]) % (1 << bits) == 0:
+                out.append(t[last:i])
+                last = i
+        return collections.Counter([*out, t[last:]])
+
+    bits = max(fingerprint.level(len(a)), fingerprint.level(len(b)))
+    x, y = cut(a, bits), cut(b, bits)
+    common = sum(min(n, y[s]) * len(s) for s, n in x.items())
+    front = len(os.path.commonprefix([a, b]))
+    if len(a) < fingerprint.SHORT and len(b) < fingerprint.SHORT:
+        common = max(common, front)
+    elif min(len(a), len(b)) >= fingerprint.SHORT:
+        common = max([common, *(k for k in (int(64 * 2 ** (i / 8)) for i in range(200)) if k <= front)])
+    return common / max(len(a), len(b))
+
+
+def check_fingerprints(got, data):
+    """got against brute force on (doc_id, text)."""
+    key = lambda r: (r[0] is not None, r[0] or 0, signed(xxhash.xxh64_intdigest((r[1] or "").encode(), 42)))
+    every = sorted(data, key=key)
     texts = [r[1] or "" for r in every]
-    want = [(i, len(t), hashlib.sha256(fingerprint.edited(t, texts[(k + 1) % len(texts)]).encode()).hexdigest()) for k, ((i, _), t) in enumerate(zip(every, texts))]
-    for size in (7, 1000):
-        got = fingerprint.fingerprints(docs, size).collect()
-        assert sorted((r["doc_id"], r["n_chars"], r["edited_sha256"]) for r in got) == sorted(want)
-    prints = {}
+    want, prints = [], {}
+    for k, ((i, _), t) in enumerate(zip(every, texts)):
+        after = texts[(k + 1) % len(texts)]
+        new = fingerprint.edited(t, after)
+        front = lambda u: len(os.path.commonprefix([t, u]))  # noqa: B023, E731
+        want.append((i, len(t), hashlib.sha256(new.encode()).hexdigest(), round(span_likeness(t, new), 9), round(span_likeness(t, after), 9), front(new), front(after)))
+    have = [(r["doc_id"], r["n_chars"], r["edited_sha256"], round(r["near_edited"], 9), round(r["near_next"], 9), r["front_edited"], r["front_next"]) for r in got]
+    assert sorted(have, key=str) == sorted(want, key=str)
     for r in got:
-        prints.setdefault(dict(once)[r["doc_id"]] or "", set()).add(r["fingerprint"])
-        assert 0 <= r["near_next"] <= 1 and r["near_edited"] >= (0.6 if r["n_chars"] > 30 else 0)
-    assert all(len(p) == 1 for p in prints.values()) and len({min(p) for p in prints.values()}) == len(prints)
+        prints.setdefault((r["n_chars"], r["fingerprint"]), r["n_chars"])
+    assert len(prints) == len(set(texts))
+
+
+@pytest.mark.parametrize("parts", [1, 12])
+def test_fingerprints(docs, rows, none, parts):
+    got = fingerprint.fingerprints(docs, parts).collect()
+    check_fingerprints(got, [r[:2] for r in rows])
+    assert all(r["near_edited"] >= (0.6 if r["n_chars"] > 30 else 0) for r in got)
     assert fingerprint.fingerprints(none).count() == 0
 
 
+def test_fingerprints_of_large_and_missing_ids(spark):
+    """Ids that floats cannot hold, null ones, and many texts under one id."""
+    rng = random.Random(6)
+    word = lambda: "".join(rng.choice("abcde") for _ in range(30))
+    data = [(2**60 + 37 * i, word()) for i in range(400)] + [(None, word()) for _ in range(150)] + [(2**60 + 37, word()) for _ in range(150)] + [(None, None), (5, "")]
+    got = fingerprint.fingerprints(spark.createDataFrame(data, "doc_id long, text string").repartition(5), 20)
+    check_fingerprints(got.collect(), data)
+
+
 def test_prefix_hashes_answer_spans():
     rng = random.Random(5)
     for _ in range(60):
@@ -168,6 +255,15 @@ def test_prefix_hashes_answer_spans():
     assert fingerprint.likeness(fingerprint.fingerprint("abc"), fingerprint.fingerprint("xyz")) == 0.0
 
 
+def test_scattered_edits_leave_a_text_alike():
+    rng = random.Random(9)
+    for n in (300, 1000, 3000):
+        text = "".join(rng.choice("abcdefgh ij") for _ in range(n))
+        other = list(text)
+        other[n // 20] = other[n - n // 20] = "#"
+        assert fingerprint.likeness(fingerprint.fingerprint(text), fingerprint.fingerprint("".join(other))) > 0.75
+
+
 @pytest.mark.parametrize("name", ["word_bpe_49k.json", "byte_bpe_50k.json"])
 def test_bpe_round_trip(docs, rows, none, name):
     from tokenizers import Tokenizer
@@ -188,20 +284,48 @@ def test_bpe_round_trip(docs, rows, none, name):
 
 
 def test_chunks_that_are_forgotten(monkeypatch):
-    """With room for a few chunks only, ids stay those of the library, and chunks in use are kept."""
+    """With room for a few texts only, ids stay those of the library, and texts in use are kept."""
     from tokenizers import Tokenizer
 
     path = tokenizer_path()
-    monkeypatch.setattr(bpe, "MOST_KNOWN", 40)
-    encoder = bpe.ChunkEncoder(path)
+    encoder = bpe.ChunkEncoder(path, chunks=60)
+    encoder.words, encoder.chunks = bpe.Memory(40), bpe.Memory(20)
     texts = [f"the same words again and number {i} of {i * i} things" for i in range(60)]
     whole = Tokenizer.from_file(path)
     for text in texts:
         data = np.frombuffer(text.encode(), np.uint8)
         ids, ends = encoder.run(data, np.array([0, len(data)]))
         assert ids.tolist() == whole.encode(text, add_special_tokens=False).ids and ends[-1] == len(ids)
-        assert len(encoder.known) == len(encoder.uses) == len(encoder.ends) - 1 <= 40
-    assert any(c.startswith("same") for c in encoder.known)
+        for memory in (encoder.words, encoder.chunks):
+            assert len(memory.known) == len(memory.uses) == len(memory.ends) - 1 <= memory.most
+    assert any(c.startswith("same") for c in encoder.words.known)
+
+
+def test_wrong_joins_are_repaired():
+    """Where the ids of two words together are not those of the words apart, the chunks become one, until all joins agree."""
+
+    encoder = bpe.ChunkEncoder.__new__(bpe.ChunkEncoder)
+    encoder.words = bpe.Memory(100)
+    # a tokenizer for which a space between two letters a is part of a token
+    encoder.seams, encoder.encode = {}, lambda texts: [[zlib.crc32(x.encode()) >> 1 for x in re.split(r"(?<!a) | (?!a)", t) if x] for t in texts]
+    part = np.frombuffer(b"bb cca ad da ab xx yy za ay", np.uint8)
+    starts = np.array([0, 3, 7, 10, 13, 16, 19, 22, 25])
+    words, chunks = encoder.repaired(part, np.array([0]), starts, starts)
+    assert words.tolist() == chunks.tolist() == [0, 3, 10, 16, 19, 22]
+
+
+def test_random_texts_of_many_chunks():
+    from tokenizers import Tokenizer
+
+    rng = random.Random(4)
+    for name in ("word_bpe_49k.json", "byte_bpe_50k.json"):
+        encoder, whole = bpe.ChunkEncoder(tokenizer_path(name), chunks=64), Tokenizer.from_file(tokenizer_path(name))
+        letters = "ab'’-.,!#0 \t\n  éß日😀\u00a0\u200d" + "etaoin" * 3
+        texts = ["".join(rng.choice(letters) for _ in range(rng.randrange(0, 400))) for _ in range(300)]
+        raw = [t.encode() for t in texts]
+        ids, ends = encoder.run(np.frombuffer(b"".join(raw), np.uint8), np.concatenate([[0], np.cumsum([len(r) for r in raw])]))
+        for k, t in enumerate(texts):
+            assert ids[ends[k] : ends[k + 1]].tolist() == whole.encode(t, add_special_tokens=False).ids
 
 
 def test_apportionment():
@@ -230,6 +354,41 @@ def test_mixing(docs, rows, none):
         assert sum(r["taken"] for r in own) == pytest.approx(goal, abs=40)
     assert mixing.mixed_documents(docs).columns == docs.columns
     assert mixing.mix(none).count() == 0
+    brute_mix(docs, rows, targets, names, sizes)
+
+
+def brute_mix(docs, rows, targets, names, sizes, block=16, shards=7):
+    """Lists each source's blocks, as often as they are picked, and deals them to shards by their quotas."""
+    order = {s: docs.filter(F.col("source").eqNullSafe(s)).select("doc_id", F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))).alias("size"), F.xxhash64(F.lit(42), "doc_id", F.crc32("text")).alias("key")) for s in names}
+    quotas = mixing.shard_quotas(targets, round(sum(targets) / block), shards)
+    want = []
+    for i, s in enumerate(names):
+        own = sorted((((r["key"] % 1024), r["key"], r["doc_id"], r["size"]) for r in order[s].collect()))
+        n = max(1, -(-sizes[i] // block))
+        total = min(2 * n, sum(q[i] for q in quotas))
+        phase = (42 * 2654435761 + i * 40503) % n
+        picks = [total // n + ((b + 1) * (total % n) + phase) // n - (b * (total % n) + phase) // n for b in range(n)]
+        assert sum(picks) == total
+        ends, done = list(itertools.accumulate(q[i] for q in quotas)), 0
+        shard_of = []  # of each block's first and last pick
+        for p in picks:
+            shard_of.append((sum(e <= done for e in ends), sum(e <= done + p - 1 for e in ends)))
+            done += p
+        at = 0
+        for _, _, doc, size in own:
+            got = [b // block for b in range(at, at + size) if picks[b // block]]
+            want.append((doc, sum(picks[b] for b in got), shard_of[got[0]][0] if got else None, shard_of[got[-1]][1] if got else None))
+            at += size
+    have = [(r["doc_id"], r["taken"], r["first_shard"], r["last_shard"]) for r in mixing.mix(docs, shards=shards).collect()]
+    assert sorted(have, key=str) == sorted(want, key=str)
+
+
+def test_mixed_documents_without_own_doc_id(spark):
+    """Rows under one doc_id, null or not, are taken each by its own words; repeated rows keep their number."""
+    data = [(None, "", "s"), (None, "a b c", "s"), (None, "d e f", "s"), (1, "g h", "s"), (1, "i j", "s"), (2, "k l", "s"), (2, "k l", "s")]
+    docs = spark.createDataFrame(data, "doc_id long, text string, source string")
+    got = collections.Counter((r["doc_id"], r["text"]) for r in mixing.mixed_documents(docs, share=2.0, block=1).collect())
+    assert got == {(None, "a b c"): 2, (None, "d e f"): 2, (1, "g h"): 2, (1, "i j"): 2, (2, "k l"): 4}
 
 
 def brute(rows, percent):
@@ -289,36 +448,68 @@ def test_language_of_few_long_texts(spark):
     docs = spark.createDataFrame(data, "doc_id long, text string, lang string").repartition(3)
     model = langid.train(docs, budget=20_000)
     assert model.langs == ["aa", "bb", "cc", "dd"]
-    assert (model.logp[0].max(0) > model.floor + 0.1).all()  # each has counts
+    assert all(m.logp[0].max() > m.floor + 0.1 for m in model.models)  # each has counts
     tests = [write(x, 20) for x in ("abcdefgh", "efghijkl", "uvwxyz") for _ in range(20)]
     names, _, ok = model.predict(tests)
     assert names == ["aa"] * 20 + ["bb"] * 20 + ["cc"] * 20 and ok.all()
 
 
-def test_kneser_ney_sums_to_one():
-    from types import SimpleNamespace
-
-    text = ["abracadabra abba", "cab abra"]
-    codes, place = langid.symbols(text)
-    letters = sorted(set(codes.tolist()))
-    found = langid.grams(codes, place, 3)
-    inner = np.flatnonzero(np.append(False, place[1:] == place[:-1]))
-    tables = []
-    for n in range(3):
-        if n == 2:
-            keys, first, counts = np.unique(found[2][inner], return_index=True, return_counts=True)
-        else:
-            top = np.unique(np.stack([found[n + 1][inner], found[n][inner]], 1), axis=0)
-            keys, counts = np.unique(top[:, 1], return_counts=True)
-            first = np.array([np.flatnonzero(found[n][inner] == k)[0] for k in keys])
-        at = inner[first]
-        tables.append({"key": keys, "counts": counts[:, None].astype(float), "context": found[n - 1][at - 1] if n else np.full(len(keys), langid.CONTEXT0), "suffix": found[n - 1][at] if n else keys})
-    model = langid.Model.fit(["x"], 3, tables)
-    total = 0.0
-    for c in letters:
-        s, p = langid.symbols(["ab" + chr(c)])
-        total += float(np.exp(model.logs(langid.grams(s, p, 3))[3, 0])) if len(s) == 4 else 0
-    assert 0.9 < total < 1.05 and SimpleNamespace
+def naive_kneser_ney(texts, order, vocab):
+    """Interpolated Kneser-Ney from its definition: n-grams as strings, "^" before a text's first symbol."""
+    folded = [" " + re.sub(" +", " ", "".join(c.lower() if c.isalpha() else " " for c in t)).lstrip(" ") for t in texts]
+    tops = collections.Counter(("^" * order + t)[i + 1 : i + order + 1] for t in folded for i in range(1, len(t)))
+    counts = [tops]
+    for n in range(order - 1, 0, -1):
+        counts.insert(0, collections.Counter(g[-n:] for g in counts[0]))
+    discounts = []
+    for c in counts:
+        ones, twos = sum(v == 1 for v in c.values()), sum(v == 2 for v in c.values())
+        discounts.append(min(0.95, max(0.1, ones / (ones + 2 * twos) if ones else 0.5)))
+
+    def p(history, symbol):
+        n = len(history)
+        lower = p(history[1:], symbol) if n else 1 / (2 + vocab)
+        same = {g: v for g, v in counts[n].items() if g[:-1] == history}
+        if not same:
+            return lower
+        total = sum(same.values())
+        return max(same.get(history + symbol, 0) - discounts[n], 0) / total * (history + symbol in same) + discounts[n] * len(same) / total * lower
+
+    def entropy(text):
+        t = " " + re.sub(" +", " ", "".join(c.lower() if c.isalpha() else " " for c in text)).lstrip(" ")
+        logs = [math.log(p(("^" * order + t)[i + 1 : i + order], t[i])) for i in range(1, len(t))]
+        return -sum(logs) / max(1, len(logs))
+
+    return p, entropy, {g for g in counts[0]}
+
+
+def test_kneser_ney_against_its_definition():
+    rng = random.Random(2)
+    write = lambda letters, n: " ".join("".join(rng.choice(letters) for _ in range(rng.randrange(1, 5))) for _ in range(n))
+    for order in (1, 2, 3, 5):
+        texts = {"x": [write("abcd", 30), write("abé", 9), "b"], "y": [write("cdefg", 25)]}
+        alphabets = {x: naive_kneser_ney(t, order, 1)[2] for x, t in texts.items()}
+        vocab = len(set.union(*alphabets.values()))
+        model = langid.build(list(texts), [langid.counted(t, order) for t in texts.values()], order)
+        tests = ["abba cab", "zzz", "A!b  c", "gdec fed", write("abcdefgz", 12)]
+        cross, _ = model.entropies(tests)
+        for k, t in enumerate(texts.values()):
+            p, entropy, symbols = naive_kneser_ney(t, order, vocab)
+            assert cross[:, k] == pytest.approx([entropy(x) for x in tests], rel=1e-5)
+            history = "^" * max(0, order - 2) + " " if order > 1 else ""
+            # what is left for symbols that are in no text
+            assert sum(p(history, s) for s in symbols) <= 1 + 1e-9
+
+
+def test_rejection_is_calibrated(spark):
+    rng = random.Random(3)
+    syllables = {"x": "ka lo mi re tu sa".split(), "y": "shu ten vor gah bri".split()}
+    write = lambda k: " ".join("".join(rng.choice(syllables[k]) for _ in range(rng.randrange(1, 4))) for _ in range(rng.choice([3, 20, 200])))
+    known = [(i, write(k), k) for i in range(300) for k in ("xy"[i % 2],)]
+    model = langid.train(spark.createDataFrame(known, "doc_id long, text string, lang string"))
+    assert np.mean(model.predict([write("xy"[i % 2]) for i in range(2000)])[2]) >= 0.999
+    other = ["".join(rng.choice("qwzjpcfñ ") for _ in range(n)) for n in (40, 100, 400) for _ in range(100)]
+    assert np.mean(model.predict(other)[2]) <= 0.05
 
 
 def test_quality(spark, docs, none):
@@ -339,6 +530,152 @@ def test_quality(spark, docs, none):
     assert {r["score"] for r in quality.classify(texts, quality.train(none, labels.limit(0))).collect()} == {0.5}
 
 
+def naive_tree(residual, hessian, leaves):
+    """All ways to cut ordered bins, one best cut at a time."""
+    cuts = [0, len(residual)]
+    value = lambda a, b: sum(residual[a:b]) / (sum(hessian[a:b]) + 1)
+    worth = lambda c: sum(sum(residual[a:b]) ** 2 / (sum(hessian[a:b]) + 1) for a, b in zip(c, c[1:]))
+    for _ in range(leaves - 1):
+        options = [(worth(sorted([*cuts, k])), -k) for k in range(1, len(residual)) if k not in cuts]
+        if not options or max(options)[0] - worth(cuts) <= 1e-9:
+            break
+        cuts = sorted([*cuts, -max(options)[1]])
+    return [value(a, b) for a, b in zip(cuts, cuts[1:]) for _ in range(a, b)]
+
+
+def test_additive_model_against_its_definition():
+    """Cyclic boosting of shallow trees on bins, then of the best pairs, written out by rows; scores as sums of table entries."""
+    rng = np.random.default_rng(7)
+    x = np.round(rng.random((150, 3)), 2)
+    y = ((x[:, 0] > 0.4) ^ (x[:, 1] > 0.6)).astype(float)
+    rounds, pairs, rate = 9, 2, 0.15
+    model = quality.Additive().fit(x, y, rounds=rounds, rate=rate, pairs=pairs)
+    cell = lambda edges, v: sum(e <= v for e in edges)
+    base = math.log(y.mean() / (1 - y.mean()))
+    score = [base] * len(y)
+    fine = [[cell(e, v) for v in x[:, f]] for f, e in enumerate(model.edges)]
+    rough = [[cell(e, v) for v in x[:, f]] for f, e in enumerate(model.coarse)]
+    for f in range(3):
+        assert model.edges[f].tolist() == sorted(set(np.quantile(x[:, f], [k / quality.BINS for k in range(1, quality.BINS)])))
+
+    def step(cells, bins):
+        p = [1 / (1 + math.exp(-s)) for s in score]
+        r, h = [0.0] * bins, [0.0] * bins
+        for c, a, b in zip(cells, y, p):
+            r[c] += a - b
+            h[c] += b * (1 - b)
+        tree = naive_tree(r, h, 4)
+        for i, c in enumerate(cells):
+            score[i] += rate * tree[c]
+
+    for _ in range(rounds):
+        for f in range(3):
+            step(fine[f], len(model.edges[f]) + 1)
+    p = [1 / (1 + math.exp(-s)) for s in score]
+    both = lambda a, b: [i * quality.PAIR_BINS + j for i, j in zip(rough[a], rough[b])]
+
+    def gain(a, b):
+        r, h = collections.Counter(), collections.Counter()
+        for c, t, q in zip(both(a, b), y, p):
+            r[c] += t - q
+            h[c] += q * (1 - q)
+        return sum(r[c] ** 2 / (h[c] + 1) for c in r)
+
+    best = sorted(itertools.combinations(range(3), 2), key=lambda ab: -gain(*ab))[:pairs]
+    assert model.pairs == best
+    for _ in range(rounds // 3):
+        for a, b in best:
+            step(both(a, b), quality.PAIR_BINS**2)
+    assert model.score(x) == pytest.approx([1 / (1 + math.exp(-s)) for s in score], rel=1e-6)
+
+
+def test_measures_against_their_definition():
+    """Every feature, from the text's own words and characters."""
+    texts = ["", "a", "Hello, World! x x x #tag 12", "one two two  three\nfour | é日 A1$", " \t lead and trail \n\n"]
+    raw = [t.encode() for t in texts]
+    got = quality.measure(np.frombuffer(b"".join(raw), np.uint8), np.concatenate([[0], np.cumsum([len(r) for r in raw])]))
+    for t, r, row in zip(texts, raw, got):
+        words = re.findall(rb"[^\x20\x09-\x0D]+", r.lower())
+        size, n = max(1, len(r)), max(1, len(words))
+        share = lambda chars: sum(r.count(c.encode()) for c in chars) / size  # noqa: B023, E731
+        lower, upper, wide = sum(97 <= c <= 122 for c in r), sum(65 <= c <= 90 for c in r), sum(c >= 128 for c in r)
+        lengths = [len(w) for w in words]
+        mean = sum(lengths) / n
+        want = {
+            "log_bytes": math.log1p(len(r)), "upper": upper / max(1, lower + upper + wide), "digit": share("0123456789"), "mark": share("#$%&*@^~<>{}[]=_+\\/"), "bang": share("!?"), "bar": share("|"),
+            "comma_stop": share(",.;:"), "wide": wide / size, "space": share(" \t\n\x0b\x0c\r"), "line": share("\n"), "word_size": mean, "word_spread": math.sqrt(max(0, sum(x * x for x in lengths) / n - mean**2)),
+            "distinct": len(set(words)) / n, "again": sum(a == b for a, b in zip(words, words[1:])) / n, "short": sum(x <= 3 for x in lengths) / n, "top_word": max(collections.Counter(words).values(), default=0) / n,
+            "marked_words": sum(bool(re.search(rb"[#$%&*@^~<>{}\[\]=_+\\/!?|]", w)) for w in words) / n,
+        }
+        assert dict(zip(quality.FEATURES, row)) == pytest.approx(want), t
+
+
+CLASHING = "doc_id long, text string, lang string, source string, n_chars long, _doc long, _text string, _sha string, _other boolean, _a long, _b long, _times long, _rows long, _copy int, _salt int, _of long, hash long, h long, row long, part long, shard int, grp long, node long, key long, mark binary, size long, label double, score double, ahead boolean, `odd name` int"
+
+
+@pytest.fixture(scope="module")
+def hard(spark):
+    """Null and repeated doc_ids, texts of more than two million characters, ties, and columns with the names that operators use themselves."""
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choice(("th", "er", "on", "an", "re")) for _ in range(3))
+    many = [word() for _ in range(300)]
+    text = lambda n: " ".join(rng.choice(many) for _ in range(n))
+    big, one, two = text(310_000), text(40), text(60)
+    assert len(big) > 2_000_000
+    data = [(None, one), (None, one), (None, two), (None, None), (None, ""), (1, big), (2, big + " the end"), (3, big), (4, one), (4, two), (4, two), (5, one.upper()), (6, None), (6, " "), (7, text(50)), (8, "12 !!")]
+    rest = (7, "t", "s", True, 1, 2, 3, 4, 5, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15, bytearray(b"m"), 16, 0.5, 0.25, False, 17)
+    rows = [(i, t, "en" if i != 7 else "de", "s" if i else None, len(t or ""), *rest) for i, t in data]
+    return data, spark.createDataFrame(rows, CLASHING).repartition(3).persist()
+
+
+def test_hard_rows_in_operators(spark, hard):
+    from tokenizers import Tokenizer
+
+    data, docs = hard
+    text = lambda t: t or ""
+    shards = sharding.shard_documents(docs, 3).collect()
+    assert sorted((r["size"], r["text_crc32"]) for r in shards) == sorted((len(text(t).encode()) + 16, zlib.crc32(text(t).encode())) for _, t in data)
+    assert all(sorted(r["slot"] for r in shards if r["shard"] == k) == list(range(sum(r["shard"] == k for r in shards))) for k in range(3))
+    whole = Tokenizer.from_file(tokenizer_path())
+    ids = {t: whole.encode(t, add_special_tokens=False).ids for t in {text(t) for _, t in data}}
+    assert sorted((str(r["doc_id"]), r["n_tokens"], r["ids_sha256"]) for r in bpe.encode_digests(docs, tokenizer_path()).collect()) == sorted((str(i), len(ids[text(t)]), hashlib.sha256(" ".join(map(str, ids[text(t)])).encode()).hexdigest()) for i, t in data)
+    assert {r["n_tokens"]: r["docs"] for r in tokencounts.token_histogram(docs, tokenizer_path()).collect()} == collections.Counter(len(ids[text(t)]) for _, t in data)
+    sizes = sorted((str(r["doc_id"]), r["n_chars"]) for r in fingerprint.fingerprints(docs, 4).collect())
+    assert sizes == sorted((str(i), len(text(t))) for i, t in data)
+    found = langid.classify(docs, langid.train(docs)).collect()
+    assert len(found) == len(data) and {r["lang_pred"] for r in found if r["doc_id"] in (6, 8)} == {"und"}
+    exact = exactdedup.exact_duplicates(docs).collect()
+    assert collections.Counter((r["keep_id"], r["group_size"]) for r in exact) == {(4, 3): 6, (1, 2): 2, (2, 1): 1, (5, 1): 1, (6, 3): 3, (6, 1): 1, (7, 1): 1, (8, 1): 1}
+    near = minhash.near_duplicates(docs, 85).collect()
+    assert collections.Counter((r["doc_id"], r["component_id"], r["kept"]) for r in near) == {(None, None, True): 5, (1, 1, True): 1, (2, 1, False): 1, (3, 1, False): 1, (4, 4, True): 3, (5, 4, False): 1, (6, 6, True): 2, (7, 7, True): 1, (8, 8, True): 1}
+    taken = mixing.mix(docs).collect()
+    assert len(taken) == len(data) and all(0 <= r["taken"] <= 2 * r["size"] for r in taken)
+    labels = spark.createDataFrame([(i, k % 2) for k, i in enumerate([1, 2, 4, 4, 5, 7, None])], "doc_id long, quality int")
+    model = quality.train(docs, labels)
+    assert all(0 <= r["score"] <= 1 for r in quality.classify(docs, model).collect())
+
+
+def test_hard_rows_in_stages(hard):
+    """Every stage returns whole rows with all columns, whatever these are called."""
+    data, docs = hard
+    kept = lambda df: sorted((str(r["doc_id"]), r["text"]) for r in df.collect() if r["text"])
+    names = docs.columns
+    out = langid.keep_identified(docs, langid.train(docs))
+    assert out.columns == names and kept(out) == sorted((str(i), t) for i, t in data if t and t != " " and "12" not in t)
+    left = exactdedup.drop_exact_duplicates(docs)
+    first = {}
+    for i, t in data:
+        first.setdefault(re.sub(r"\s+", " ", t or ""), []).append(i)
+    assert left.columns == names and left.count() == len(first)
+    assert sorted(str(r["doc_id"]) for r in left.collect()) == sorted(str(min((i for i in ids if i is not None), default=None)) for ids in first.values())
+    alone = minhash.drop_near_duplicates(docs, 85)
+    assert alone.columns == names and collections.Counter(r["doc_id"] for r in alone.collect()) == {None: 5, 1: 1, 4: 3, 6: 2, 7: 1, 8: 1}
+    mixed = mixing.mixed_documents(docs)
+    assert mixed.columns == names and {k for k, _ in kept(mixed)} <= {str(i) for i, _ in data}
+    tokens = bpe.encode(docs, tokenizer_path())
+    assert tokens.columns == [c for c in names if c != "text"] + ["ids"] and tokens.count() == len(data)
+
+
 def test_pipeline(spark, tmp_path, rows):
     import corpus_pipeline
 

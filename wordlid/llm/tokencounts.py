@@ -20,22 +20,23 @@ BLOCK = 256
 
 
 def histogram(lengths: DataFrame, column: str = "n_tokens") -> DataFrame:
-    """For each length that occurs: documents and tokens of that length, of that length and more, and the
-    tokens of the whole table with every document cut to that length."""
+    """For each length that occurs: documents and tokens of that length, of that length and more, the
+    tokens of the whole table with every document cut to that length, and the share of documents that are no longer: the p-quantile is the
+    first length whose share is p or more."""
     counts = lengths.groupBy(F.col(column).alias("n_tokens")).agg(F.count("*").alias("docs")).withColumn("block", F.expr(f"n_tokens div {BLOCK}"))
     counts = cut_lineage(counts, "lengths")  # read several times below; texts are encoded once
     later = Window.orderBy(F.desc("block")).rowsBetween(Window.unboundedPreceding, -1)
     totals = counts.groupBy("block").agg(F.sum("docs").alias("d"), F.sum(F.col("docs") * F.col("n_tokens")).alias("t"))
     above = totals.select(F.col("block").alias("_block"), F.coalesce(F.sum("d").over(later), F.lit(0)).alias("d_above"), F.coalesce(F.sum("t").over(later), F.lit(0)).alias("t_above"), F.lit(1).alias("one"))
-    whole = totals.agg(F.sum("t").alias("all_tokens"))
+    whole = totals.agg(F.sum("t").alias("all_tokens"), F.sum("d").alias("all_docs"))
     inside = Window.partitionBy("block").orderBy(F.desc("n_tokens"))
     joined = counts.join(above, F.col("block") == F.col("_block")).join(F.broadcast(whole.withColumn("_one", F.lit(1))), F.col("one") == F.col("_one"))  # one row
     ge = joined.select(
         "n_tokens", "docs", (F.col("docs") * F.col("n_tokens")).alias("tokens"),
         (F.sum("docs").over(inside) + F.col("d_above")).alias("docs_ge"),
-        (F.sum(F.col("docs") * F.col("n_tokens")).over(inside) + F.col("t_above")).alias("tokens_ge"), "all_tokens",
+        (F.sum(F.col("docs") * F.col("n_tokens")).over(inside) + F.col("t_above")).alias("tokens_ge"), "all_tokens", "all_docs",
     )
-    return ge.select("n_tokens", "docs", "tokens", "docs_ge", "tokens_ge", (F.col("all_tokens") - F.col("tokens_ge") + F.col("docs_ge") * F.col("n_tokens")).alias("truncated_tokens"))
+    return ge.select("n_tokens", "docs", "tokens", "docs_ge", "tokens_ge", (F.col("all_tokens") - F.col("tokens_ge") + F.col("docs_ge") * F.col("n_tokens")).alias("truncated_tokens"), ((F.col("all_docs") - F.col("docs_ge") + F.col("docs")) / F.col("all_docs")).alias("share_le"))
 
 
 def quantile(hist: DataFrame, share: float) -> int | None:
