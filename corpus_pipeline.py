@@ -10,7 +10,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from wordlid.io import cut_lineage, read_table, ship
+from wordlid.io import cut_lineage, discard, read_table, ship
 from wordlid.llm import bpe, exactdedup, langid, minhash, mixing
 from wordlid.llm.queries import tokenizer_path
 
@@ -54,8 +54,12 @@ STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] =
 ORACLE_SQL = None
 
 
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+def run(spark: SparkSession, sf_dir: str, rows: dict[str, int] | None = None) -> DataFrame:
+    """All stages on the documents; `rows` gets the number of rows that each stage but the last has left."""
     docs = read_table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = cut_lineage(stage(spark, docs, sf_dir), name)
+        before, docs = docs, cut_lineage(stage(spark, docs, sf_dir), name)
+        discard(before)
+        if rows is not None:
+            rows[name] = docs.count()
     return STAGES[-1][1](spark, docs, sf_dir)

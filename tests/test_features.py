@@ -288,6 +288,11 @@ def test_negative_sampling(spark):
     assert cosine("a", "b") > cosine("a", "x") and cosine("y", "z") > cosine("c", "z")
 
 
+def test_rare_units_are_left_out_where_there_are_many(spark):
+    seqs = spark.createDataFrame([(list("aaabbc"),), (list("abd"),)], "seq array<string>")
+    assert [V.least_uses(seqs, "seq", 1, most) for most in (9, 4, 3, 2, 1)] == [1, 1, 2, 2, 4]
+
+
 def test_merges_in_spark_are_those_of_the_loop(spark):
     words = [("low", 5), ("lower", 2), ("newest", 6), ("widest", 3), ("aaaa", 4), ("x", 9), ("lowest", 7)]
     types = spark.createDataFrame(words, "word string, n long")

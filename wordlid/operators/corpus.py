@@ -36,9 +36,9 @@ def word_types(tokens: DataFrame, local: str = "fr") -> DataFrame:
     return tokens.groupBy("word").agg(F.count("*").alias("n"), F.count_if(F.col("lang") == "en").alias("e"), F.count_if(F.col("lang") == local).alias("l"))
 
 
-def base_tags(types: DataFrame) -> DataFrame:
-    """A type mostly of one language has its tag; ambiguous, foreign and non-letter types are `other`."""
-    share = lambda c: F.col(c) * 5 >= F.col("n") * 4
+def base_tags(types: DataFrame, least: int = 80) -> DataFrame:
+    """A type of which at least so many of a hundred uses are in one language has its tag; ambiguous, foreign and non-letter types are `other`."""
+    share = lambda c: F.col(c) * 100 >= F.col("n") * least
     tag = F.when(~F.col("word").rlike("^[a-z]+$"), "other").when(share("e"), "en").when(share("l"), "local").otherwise("other")
     return types.select("word", "n", tag.alias("tag"))
 
@@ -132,12 +132,14 @@ def strip_unprintable(c):
 
 
 def clean_flags(comments: DataFrame, lexicon: DataFrame, script: str = r"[^\x00-\x7F]", least: int = 3) -> DataFrame:
-    """doc_id and what each rule says of a comment: script, short, english_only, duplicate."""
+    """doc_id and what each rule says of a comment: script, short, english_only, duplicate. A null is no comment."""
     words = comments.select("doc_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))).alias("w")).select("doc_id", F.regexp_replace("w", "[.,!?]+$", "").alias("word")).filter("word <> ''")
     known = words.join(lexicon.withColumn("known", F.lit(1)), "word", "left").groupBy("doc_id").agg(F.min(F.coalesce("known", F.lit(0))).alias("all_en"))
-    first = comments.select("doc_id", F.md5(F.lower("text")).alias("k")).groupBy("k").agg(F.min("doc_id").alias("first"))
-    flags = comments.select("doc_id", F.md5(F.lower("text")).alias("k"), F.col("text").rlike(script).alias("script"), (F.size(F.regexp_extract_all("text", F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))) < least).alias("short"))
-    return flags.join(first, "k").join(known, "doc_id", "left").select("doc_id", "script", "short", (F.coalesce("all_en", F.lit(1)) == 1).alias("english_only"), (F.col("doc_id") != F.col("first")).alias("duplicate"))
+    comments = comments.filter("text is not null")
+    # the first of each text by doc_id: a text that very many have is one row of the aggregate and no key of a join
+    first = comments.select("doc_id", F.md5(F.lower("text")).alias("k")).groupBy("k").agg(F.min("doc_id").alias("doc_id")).select("doc_id", F.lit(True).alias("first"))
+    flags = comments.select("doc_id", F.col("text").rlike(script).alias("script"), (F.size(F.regexp_extract_all("text", F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))) < least).alias("short"))
+    return flags.join(first, "doc_id", "left").join(known, "doc_id", "left").select("doc_id", "script", "short", (F.coalesce("all_en", F.lit(1)) == 1).alias("english_only"), F.col("first").isNull().alias("duplicate"))
 
 
 RULES = ("duplicate", "script", "short", "english_only")

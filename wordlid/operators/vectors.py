@@ -20,12 +20,25 @@ def composed_width(word: int = 200, piece: int = 100, char: int = 30, piece_slot
     return word + piece_slots * piece + char_slots * char
 
 
-def train_skipgram(seqs: DataFrame, column: str, dim: int, window: int = 5, min_count: int = 1, epochs: int = 1, seed: int = 1) -> DataFrame:
-    """unit, v: skip-gram with hierarchical softmax. The driver holds vocabulary x dim floats, so min_count bounds it at scale."""
-    model = Word2Vec(vectorSize=dim, windowSize=window, minCount=min_count, maxIter=epochs, seed=seed, inputCol=column, outputCol="_o", numPartitions=4)
-    found = model.fit(seqs.select(column)).getVectors()
+def least_uses(seqs: DataFrame, column: str, min_count: int, most: int = MOST_UNITS) -> int:
+    """The least number of uses, min_count or more, that no more than `most` units have."""
+    counts = seqs.select(F.explode(column).alias("unit")).groupBy("unit").agg(F.count("*").alias("n")).filter(F.col("n") >= min_count)
+    uses = counts.groupBy("n").agg(F.count("*").alias("units"))  # a row for each number of uses: few
+    left, least = most, min_count
+    for r in uses.orderBy(F.desc("n")).limit(most).collect():
+        left -= r["units"]
+        if left < 0:
+            return max(min_count, r["n"] + 1)
+    return least
+
+
+def train_skipgram(seqs: DataFrame, column: str, dim: int, window: int = 5, min_count: int = 1, epochs: int = 1, seed: int = 1, most: int = MOST_UNITS) -> DataFrame:
+    """unit, v: skip-gram with hierarchical softmax. The driver holds `dim` floats for each unit, so rare ones are left out where there are more than `most`."""
     from pyspark.ml.functions import vector_to_array
 
+    least = least_uses(seqs, column, min_count, most)
+    model = Word2Vec(vectorSize=dim, windowSize=window, minCount=least, maxIter=epochs, seed=seed, inputCol=column, outputCol="_o", numPartitions=4)
+    found = model.fit(seqs.select(column)).getVectors()
     return found.select(F.col("word").alias("unit"), vector_to_array("vector", "float32").alias("v"))
 
 

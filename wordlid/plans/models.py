@@ -181,6 +181,8 @@ def vectors_of(spark, d, kind):
         return hybrid_rows(spark, d)
     if kind == "hashed":
         return hashed_rows(spark, d), PLACES
+    if kind == "binary":  # whether a word has a feature, not how often
+        return ngram_rows(spark, d).withColumn("val", F.transform("val", lambda _: F.lit(1.0).cast("float"))), MOST_FEATURES
     return ngram_rows(spark, d, {"ngrams": "spgb", "affixes": "sp", "word_ngrams": "g", "piece_ngrams": "b"}[kind]), MOST_FEATURES
 
 
@@ -208,7 +210,7 @@ for _k in KINDS:
         query(f"m_single_{_k}_{_f}")(lambda spark, d, k=_k, f=_f: tag(spark, d, (k,), f))
 query("m_ngram_vote")(lambda spark, d: tag(spark, d, KINDS, "ngrams"))
 query("m_embedding_vote")(lambda spark, d: tag(spark, d, KINDS, "composed"))
-for _f in ("affixes", "word_ngrams", "piece_ngrams", "hashed"):
+for _f in ("affixes", "word_ngrams", "piece_ngrams", "hashed", "binary"):
     query(f"m_single_lr_{_f}")(lambda spark, d, f=_f: tag(spark, d, ("lr",), f))
 query("m_ngram_hard_vote")(lambda spark, d: tag(spark, d, KINDS, "ngrams", "hard"))
 query("m_ngram_weighted_vote")(lambda spark, d: tag(spark, d, KINDS, "ngrams", "soft", [1.0, 2.0, 1.0]))

@@ -145,6 +145,17 @@ def w7x(spark, d):
     return C.context_bag(tokens(spark, d).filter(F.col("lang") == LOCAL)).groupBy(F.col("offset").alias("off"), "feature").agg(F.count("*").alias("n"))
 
 
+_SAMPLES = {"nayigalige": "n ay ig al ig e", "dogsgalige": "d og s g al ig e"}
+_PIECE4 = "flatten(list_transform(pieces, lambda p: CASE WHEN length(p) >= 2 THEN list_transform(generate_series(1, length(p) - 1), lambda i: substr('_' || p || '_', i::INTEGER, 4)) ELSE [] END))"
+
+
+@query("w6_samples", "WITH s AS (SELECT * FROM (VALUES " + ", ".join(f"('{w}', string_split('{p}', ' '))" for w, p in _SAMPLES.items()) + f") AS t(word, pieces)) SELECT word, array_to_string([word, right(word, 3), left(word, 3), right(word, 2), left(word, 2), right(word, 1), left(word, 1)] || list_transform(generate_series(1, length(word) - 1), lambda i: substr('_' || word || '_', i::INTEGER, 4)) || {_PIECE4}, ' ') AS features FROM s")
+def w6s(spark, d):
+    """The features of the two worked samples, with the pieces that they have there."""
+    rows = spark.range(1).select(F.explode(F.array(*[F.struct(F.lit(w).alias("word"), F.split(F.lit(p), " ").alias("pieces")) for w, p in _SAMPLES.items()])).alias("x")).select("x.*")
+    return rows.select("word", F.array_join(T.features(F.col("word"), F.col("pieces"), T.SAMPLE_SIZES), " ").alias("features"))
+
+
 @query("w6_pairs_round1", f"WITH {TYP}, x AS (SELECT word, n FROM typ WHERE e > 0 AND regexp_full_match(word, '[a-z]+') AND length(word) >= 2), y AS (SELECT substr(word, i::INTEGER, 1) AS l, substr(word, i::INTEGER + 1, 1) AS r, n FROM (SELECT word, n, unnest(generate_series(1, length(word) - 1)) AS i FROM x)) SELECT l, r, sum(n)::BIGINT AS uses FROM y GROUP BY l, r")
 def w6(spark, d):
     w = types(spark, d).filter("e > 0 and length(word) >= 2").filter(F.col("word").rlike("^[a-z]+$"))
@@ -278,6 +289,16 @@ query("v_averages", PRED["b3"] + f", {_PER} SELECT round(sum(precision * support
 query("v_kappa", PRED["b3"] + f", {_TAGROWS}, k AS (SELECT (SELECT count(*) FROM out)::DOUBLE AS t, (SELECT count(*) FROM out WHERE gold = pred) AS same, (SELECT sum((SELECT count(*) FROM out WHERE gold = tag) * (SELECT count(*) FROM out WHERE pred = tag)) FROM tags) AS c) SELECT round((same / t - c / (t * t)) / (1 - c / (t * t)), 5) AS kappa FROM k")(lambda spark, d: M.kappa(M.confusion(predicted(spark, d, "b3"))))
 
 
+_RULE = lambda least: f"CASE WHEN NOT regexp_full_match(word, '[a-z]+') THEN 'other' WHEN e * 100 >= n * {least} THEN 'en' WHEN l * 100 >= n * {least} THEN 'local' ELSE 'other' END"
+
+
+@query("v_kappa_rules", f"WITH {TYP}, out AS (SELECT {_RULE(80)} AS gold, {_RULE(55)} AS pred FROM typ), {_TAGROWS}, k AS (SELECT (SELECT count(*) FROM out)::DOUBLE AS t, (SELECT count(*) FROM out WHERE gold = pred) AS same, (SELECT sum((SELECT count(*) FROM out WHERE gold = tag) * (SELECT count(*) FROM out WHERE pred = tag)) FROM tags) AS c) SELECT round((same / t - c / (t * t)) / (1 - c / (t * t)), 5) AS kappa FROM k")
+def kappa_rules(spark, d):
+    """Agreement of a strict and a lenient rule, which stand for two annotators."""
+    strict, lenient = (C.base_tags(types(spark, d), least).select("word", F.col("tag").alias(name)) for least, name in ((80, "gold"), (55, "pred")))
+    return M.kappa(M.confusion(strict.join(lenient, "word")))
+
+
 def by_model(spark, d, names=("b3", "b4", "b6")):
     out = None
     for b in names:
