@@ -424,7 +424,7 @@ def language_model(spark, d):
         vocab = G.vocabulary(types(spark, d), merges)
         s = raw_sentences(spark, d)
         width, hidden, layers, window = LANGUAGE_MODEL
-        return R.train_lm(s.select(G.piece_ids(s, "text", merges, vocab).alias("xs")), len(vocab) + 3, width, hidden, layers, ((1, 64),), window, 2), merges, vocab
+        return R.train_lm(s.select(G.piece_ids(s, "text", merges, vocab).alias("xs")), len(vocab) + 3, width, hidden, layers, ((2, 32),), window, 2), merges, vocab
 
     return once(spark, d, "lm", make)
 
@@ -477,7 +477,7 @@ def tuned(spark, d):
     def make():
         w, _, vocab = language_model(spark, d)
         width, hidden, layers, window = LANGUAGE_MODEL
-        return R.train_lm(split(word_pieces(spark, d))[0].select("xs"), len(vocab) + 3, width, hidden, layers, ((3, 64),), window, 2, start=w, rate=0.02)
+        return R.train_lm(split(word_pieces(spark, d))[0].select("xs"), len(vocab) + 3, width, hidden, layers, ((3, 32),), window, 2, start=w, rate=0.02)
 
     return once(spark, d, "lm-tuned", make)
 
@@ -496,7 +496,7 @@ def transfer(spark, d, mode):
     def make():
         train, test = split(word_pieces(spark, d))
         start = tuned(spark, d) if mode != "none" else language_model(spark, d)[0]
-        return R.tag_words(test, R.fit_transfer(train, start, mode, ((3, 64),)))
+        return R.tag_words(test, R.fit_transfer(train, start, mode, ((4, 32),)))
 
     return kept(spark, d, f"pred-transfer-{mode}", make)
 
