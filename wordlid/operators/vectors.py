@@ -23,13 +23,13 @@ def composed_width(word: int = 200, piece: int = 100, char: int = 30, piece_slot
 def least_uses(seqs: DataFrame, column: str, min_count: int, most: int = MOST_UNITS) -> int:
     """The least number of uses, min_count or more, that no more than `most` units have."""
     counts = seqs.select(F.explode(column).alias("unit")).groupBy("unit").agg(F.count("*").alias("n")).filter(F.col("n") >= min_count)
-    uses = counts.groupBy("n").agg(F.count("*").alias("units"))  # a row for each number of uses: few
-    left, least = most, min_count
-    for r in uses.orderBy(F.desc("n")).limit(most).collect():
+    uses = counts.groupBy("n").agg(F.count("*").alias("units"))  # numbers of uses are few: those of rare units are shared, and frequent units are few
+    left = most
+    for r in uses.orderBy(F.desc("n")).toLocalIterator():
         left -= r["units"]
         if left < 0:
             return max(min_count, r["n"] + 1)
-    return least
+    return min_count
 
 
 def train_skipgram(seqs: DataFrame, column: str, dim: int, window: int = 5, min_count: int = 1, epochs: int = 1, seed: int = 1, most: int = MOST_UNITS) -> DataFrame:
