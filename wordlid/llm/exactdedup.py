@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wordlid.io import cut_lineage
-from wordlid.llm.hot import spread_join, unused
+from wordlid.llm.hot import sent_if_few, spread_join, unused
 
 
 def normalised(text="text"):
@@ -76,7 +76,8 @@ def drop_exact_duplicates(docs: DataFrame) -> DataFrame:
     found = cut_lineage(dropped.select(F.col("doc_id").alias(doc), F.col("text_sha256").alias(text), (~F.col("doc_id").eqNullSafe(F.col("keep_id"))).alias(other)).distinct(), "exact-groups")
     hashed = docs.withColumn(sha, F.sha2(normalised(), 256))
     same = F.col("doc_id").eqNullSafe(F.col(doc)) & (F.col(sha) == F.col(text))
-    out = hashed.join(found.filter(F.col(other)), same, "left_anti")
+    # without a shuffle of the texts where the rows that go, counted first, are few
+    out = hashed.join(sent_if_few(found.filter(F.col(other))), same, "left_anti")
     repeated = found.filter(~F.col(other))
     if repeated.isEmpty():
         return out.drop(sha)

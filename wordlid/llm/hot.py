@@ -9,6 +9,15 @@ from pyspark.sql import functions as F
 SHARE = 1000
 
 
+#: Narrow rows (ids, hashes, digests) that may be sent to every executor.
+MOST_SENT = 1_000_000
+
+
+def sent_if_few(table: DataFrame) -> DataFrame:
+    """table, to be broadcast if it is found to have no more than MOST_SENT rows."""
+    return F.broadcast(table) if table.count() <= MOST_SENT else table
+
+
 def spread_join(rows: DataFrame, table: DataFrame, key: str, counts: DataFrame, total: int, how: str = "inner") -> DataFrame:
     """rows joined with table on key, the rows of hot keys dealt over many tasks.
 

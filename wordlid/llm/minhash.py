@@ -29,14 +29,12 @@ from pyspark.sql import functions as F
 
 from wordlid.io import cut_lineage, discard
 from wordlid.llm.arrowtext import mapped, mixed, pieces, shingles, utf8
-from wordlid.llm.hot import spread_join, unused
+from wordlid.llm.hot import sent_if_few, spread_join, unused
 
 #: At a similarity of 0.85 a link is in none of 40 bands of 6 bins six times in 1e9, at 0.8 five times in 1e6;
 #: at 0.5, where there is nothing to find, half of the pairs meet, and at 0.3, three of a hundred.
 BANDS, ROWS = 40, 6
 FIRST_CENTRES = 64
-#: Ids of eight bytes that may be sent to every executor.
-MOST_SENT = 1_000_000
 #: Holders up to which an n-gram is rare among the documents of unsettled buckets.
 RARE = 16
 #: Bits for each id of a first filter of rows, and ids up to which there is one (32 MB).
@@ -141,8 +139,7 @@ def _bitmap_of(ids: DataFrame, many: int) -> bytes:
 
 def _of(sets: DataFrame, nodes: DataFrame) -> DataFrame:
     """The sets of these nodes; without a shuffle of the others where the nodes, counted first, are few."""
-    few = nodes.count() <= MOST_SENT
-    return sets.join(F.broadcast(nodes) if few else nodes, "node", "left_semi")
+    return sets.join(sent_if_few(nodes), "node", "left_semi")
 
 
 def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -321,5 +318,5 @@ def near_duplicates(docs: DataFrame, percent: int = 85, size: int = 5, bands: in
 def drop_near_duplicates(docs: DataFrame, percent: int = 80, size: int = 5, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """The rows of docs that stay, one document of each component, with all their columns. Rows are told apart by doc_id and text together."""
     doc, text = unused(docs, "_doc", "_text")
-    gone = _linked(docs, percent, size, bands, rows).filter("not kept").select(F.col("doc_id").alias(doc), F.col("hash").alias(text)).distinct()
-    return docs.join(gone, (F.col("doc_id") == F.col(doc)) & (F.xxhash64("text") == F.col(text)), "left_anti")
+    gone = cut_lineage(_linked(docs, percent, size, bands, rows).filter("not kept").select(F.col("doc_id").alias(doc), F.col("hash").alias(text)).distinct(), "gone")
+    return docs.join(sent_if_few(gone), (F.col("doc_id") == F.col(doc)) & (F.xxhash64("text") == F.col(text)), "left_anti")
