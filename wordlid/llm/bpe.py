@@ -29,7 +29,7 @@ from wordlid.llm.arrowtext import _space, mapped, mixed, pieces, utf8
 
 #: Of 256 word starts, KEEP are cuts between words and CHUNKS are cuts between chunks; bytes that are worked on at once; words and chunks
 #: that a worker remembers.
-KEEP, CHUNKS, PIECE, MOST_KNOWN, MOST_CHUNKS = 256, 4, 1 << 20, 400_000, 30_000
+KEEP, CHUNKS, PIECE, MOST_KNOWN, MOST_CHUNKS = 256, 4, 1 << 20, 300_000, 20_000
 ROLL = 6
 
 
