@@ -177,6 +177,28 @@ def test_chat(spark):
     assert chat.collapse(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 
+def test_chat_against_brute_force(spark):
+    """Random logs with many snapshots: what no longer conversation begins with stays, equal ones count."""
+    rng = random.Random(11)
+    logs = {}
+    for c in range(120):
+        if logs and rng.random() < 0.6:
+            old = rng.choice(list(logs.values()))
+            logs[c] = old[: rng.randrange(1, len(old) + 1)] + [(rng.choice("ua"), rng.choice(["x", "y", "", None])) for _ in range(rng.randrange(3))]
+        else:
+            logs[c] = [(rng.choice("ua"), rng.choice(["x", "y", None])) for _ in range(rng.randrange(1, 6))]
+    plain = {c: tuple((r, t or "") for r, t in turns) for c, turns in logs.items()}
+    want = {}
+    for whole in set(plain.values()):
+        if not any(len(o) > len(whole) and o[: len(whole)] == whole for o in plain.values()):
+            same = [c for c, o in plain.items() if o == whole]
+            want[min(same)] = (len(same), len(whole), "".join(f"<|{r}|>\n{t}\n" for r, t in whole))
+    rows = [(c, i, r, t) for c, turns in logs.items() for i, (r, t) in enumerate(turns)]
+    rng.shuffle(rows)
+    got = chat.collapse(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(4)).collect()
+    assert {r["conv_id"]: (r["copies"], r["n_turns"], r["rendered"]) for r in got} == want
+
+
 def span_likeness(a, b):
     """Brute force of the likeness: spans as texts."""
     if a == b:
@@ -705,4 +727,20 @@ def test_pipeline(spark, tmp_path, rows):
     assert set(kept["exact_dedup"]) == set(kept["language"]) - set(range(200, 210))
     assert set(kept["near_dedup"]) == set(range(120)) and len(kept["near_dedup"]) == 120
     assert 150 <= len(kept["mix"]) <= 210 and set(kept["mix"]) <= set(range(120)) and kept["encode"]
-    assert sorted(corpus_pipeline.run(spark, str(tmp_path)).select(F.col("doc_id")).toPandas()["doc_id"]) == sorted(kept["mix"])
+    left = {}
+    assert sorted(corpus_pipeline.run(spark, str(tmp_path), left).select(F.col("doc_id")).toPandas()["doc_id"]) == sorted(kept["mix"])
+    assert left == {name: len(kept[name]) for name, _ in corpus_pipeline.STAGES[:-1]}
+
+
+def test_native_operators_have_no_python(docs, spark):
+    """The operators that are to stay in the JVM have no Python worker in any plan, and no checkpoint that one executor holds."""
+    turns = spark.createDataFrame([(1, 0, "u", "a")], "conv_id long, turn long, role string, text string")
+    for df in (exactdedup.exact_duplicates(docs), exactdedup.drop_exact_duplicates(docs), chat.collapse(turns)):
+        assert not re.search("Python|MapInArrow|MapInPandas|FlatMapGroups", df._jdf.queryExecution().toString())
+    folder = os.path.dirname(os.path.abspath(exactdedup.__file__))
+    for name in os.listdir(folder):
+        if name.endswith(".py"):
+            code = open(os.path.join(folder, name)).read()
+            assert "localCheckpoint" not in code and "crossJoin" not in code
+            if name in ("exactdedup.py", "chat.py"):
+                assert not re.search(r"udf|InArrow|InPandas|\.rdd", code)
