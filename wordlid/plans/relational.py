@@ -6,13 +6,13 @@ import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from wordlid.functions import text as T
 from wordlid.io import load_artifact, read_table, save_artifact, temporary
 from wordlid.operators import corpus as C
 from wordlid.operators import metrics as M
-from wordlid.plans.common import SENT, SPLIT, TAGGED, TOK, TYP, docs, kept, parts, sentences, tagged, tokens, types
+from wordlid.plans.common import LOCAL, PAIR, SENT, SPLIT, TAGGED, TOK, TYP, docs, kept, parts, sentences, tagged, tokens, types
 from wordlid.plans.workloads import PRED, predicted
 from wordlid.sources.html import html_to_text
-from wordlid.functions import text as T
 
 Q: dict = {}
 S: dict = {}
@@ -334,7 +334,10 @@ def oversampled(spark, d):
     return C.balance(tagged(spark, d), 100, "over").groupBy("word", "tag").agg(F.count("*").alias("copies"))
 
 
-@query("op_splice")
+_LEN = lambda t: f"len(list_filter(regexp_extract_all({t}, '[^ ]+'), lambda w: regexp_replace(w, '[.,!?]+$', '') <> ''))"
+
+
+@query("op_splice", f"WITH {SENT}, h AS (SELECT lang, text, md5(doc_id || ':' || sent_no) AS h FROM sent WHERE {PAIR}), r AS (SELECT lang, text, substr(h, 1, 2) AS b, row_number() OVER (PARTITION BY lang, substr(h, 1, 2) ORDER BY h) AS r FROM h) SELECT e.b || '-' || e.r AS sid, ({_LEN('e.text')} + {_LEN('l.text')})::INTEGER AS n_words FROM r e JOIN r l ON e.b = l.b AND e.r = l.r AND e.lang = 'en' AND l.lang = '{LOCAL}'")
 def spliced(spark, d):
     out = kept(spark, d, "splices", lambda: C.splice(sentences(spark, d)))
     return out.select("sid", F.size("words").alias("n_words"))
