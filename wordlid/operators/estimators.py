@@ -196,6 +196,8 @@ class Tagger:
 
 #: Held-back words that a calibration sees, in expectation, at most.
 CALIBRATED = 20_000
+#: Words of a tag below which its calibration sees all of them.
+RARE = 50
 #: Rates, rounds and epochs of each kind. A round is so many epochs in each partition; the network stops at the published 300 epochs at the latest.
 SETTINGS = {"svm": (0.01, 6, ((4, 128), (2, 64))), "lr": (0.02, 6, ((4, 128), (2, 64))), "mlp": (0.002, 30, ((6, 128), (4, 64)))}
 
@@ -230,7 +232,9 @@ def fit(kind: str, rows: DataFrame, width: int, hidden: tuple[int, ...] = (150,
             lists = pa.ListArray.from_arrays(pa.array(np.arange(len(m) + 1, dtype=np.int32) * len(two)), pa.array(m.ravel()))
             yield pa.RecordBatch.from_arrays([b.column("y"), lists], names=["y", "m"])
 
-    seen = rows.filter(draw < min(fifth, int((1 << 30) * CALIBRATED / n)))
+    # of tags with so few words that hardly any are held back, all are seen: a sigmoid without one side says nothing
+    rare = [r["y"] for r in rows.groupBy("y").count().collect() if r["count"] < RARE]
+    seen = rows.filter((draw < min(fifth, int((1 << 30) * CALIBRATED / n))) | F.col("y").isin(rare))
     got = seen.mapInArrow(margins, "y int, m array<double>").toArrow()
     y, m = got["y"].to_numpy(), got["m"].combine_chunks().flatten().to_numpy().reshape(got.num_rows, len(two))
     sigmoids = [platt(m[(y == a) | (y == b), j], np.where(y[(y == a) | (y == b)] == a, 1, -1)) for j, (a, b) in enumerate(two)]

@@ -19,7 +19,7 @@ def grid(spark) -> DataFrame:
 
 def confusion(pred: DataFrame) -> DataFrame:
     counts = pred.groupBy("gold", "pred").agg(F.count("*").alias("n"))
-    return F.broadcast(grid(pred.sparkSession)).join(counts, ["gold", "pred"], "left").select("gold", "pred", F.coalesce("n", F.lit(0)).alias("n"))
+    return grid(pred.sparkSession).join(F.broadcast(counts), ["gold", "pred"], "left").select("gold", "pred", F.coalesce("n", F.lit(0)).alias("n"))
 
 
 def per_tag(conf: DataFrame) -> DataFrame:
