@@ -145,6 +145,7 @@ def w7x(spark, d):
     return C.context_bag(tokens(spark, d).filter(F.col("lang") == LOCAL)).groupBy(F.col("offset").alias("off"), "feature").agg(F.count("*").alias("n"))
 
 
+#: The worked samples and their pieces.
 _SAMPLES = {"nayigalige": "n ay ig al ig e", "dogsgalige": "d og s g al ig e"}
 _PIECE4 = "flatten(list_transform(pieces, lambda p: CASE WHEN length(p) >= 2 THEN list_transform(generate_series(1, length(p) - 1), lambda i: substr('_' || p || '_', i::INTEGER, 4)) ELSE [] END))"
 
