@@ -9,9 +9,13 @@ from wordlid.io import temporary
 
 
 def stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A table as a stream of files with an explicit schema."""
-    schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
+    """A table, which is one file or a folder of files, as a stream with an explicit schema."""
+    path = f"{sf_dir}/{name}.parquet"
+    found = spark._jvm.org.apache.hadoop.fs.Path(path)
+    reader = spark.readStream.schema(spark.read.parquet(path).schema)
+    if found.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(found).isDirectory():
+        return reader.parquet(path)
+    return reader.option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -35,6 +39,9 @@ def run(df: DataFrame, mode: str = "append", key: list[str] | None = None) -> Da
 
         q = df.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).start()
     q.awaitTermination()
+    target = spark._jvm.org.apache.hadoop.fs.Path(out)
+    if not target.getFileSystem(spark._jsc.hadoopConfiguration()).exists(target):  # no batch, as the stream has no files
+        return spark.range(0).select(*[F.lit(None).cast(f.dataType).alias(f.name) for f in schema])
     if mode == "append":
         return spark.read.schema(schema).parquet(out)
     rows = spark.read.parquet(out)
