@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from wordlid.io import cut_lineage, discard
 from wordlid.llm.arrowtext import mapped, mixed, pieces, shingles, utf8
-from wordlid.llm.hot import sent_if_few, spread_join, unused
+from wordlid.llm.hot import MOST_SENT, sent_if_few, spread_join, unused
 
 #: At a similarity of 0.85 a link is in none of 40 bands of 6 bins six times in 1e9, at 0.8 five times in 1e6;
 #: at 0.5, where there is nothing to find, half of the pairs meet, and at 0.3, three of a hundred.
@@ -183,7 +183,11 @@ def _several(rows: DataFrame, name: str) -> DataFrame:
     """rows (key, root, ...) of the keys with several roots, and how many rows their key has."""
     rows = cut_lineage(rows, name)
     found = cut_lineage(rows.groupBy("key").agg(F.min("root").alias("r"), F.max("root").alias("s"), F.count("*").alias("many")).filter("r <> s").select("key", "many"), "keys")
-    out = cut_lineage(spread_join(rows, found, "key", found.select("key", F.col("many").alias("n")), rows.count()), name)
+    if found.count() <= MOST_SENT:  # then the rows stay where they are, and no key is hot
+        out = rows.join(F.broadcast(found), "key")
+    else:
+        out = spread_join(rows, found, "key", found.select("key", F.col("many").alias("n")), rows.count())
+    out = cut_lineage(out, name)
     discard(rows, found)
     return out
 
