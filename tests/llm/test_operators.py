@@ -476,6 +476,23 @@ def test_language_of_few_long_texts(spark):
     assert names == ["aa"] * 20 + ["bb"] * 20 + ["cc"] * 20 and ok.all()
 
 
+def test_language_models_and_limit_come_from_all_text(spark, monkeypatch):
+    """Every n-gram of every labelled text counts, and every piece of a text is a window of the limit, however much text a language has."""
+    rng = random.Random(9)
+    write = lambda n: " ".join("".join(rng.choice("abcdefghij") for _ in range(rng.randrange(2, 9))) for _ in range(n))
+    data = [(i, write(1_500), "aa") for i in range(60)] + [(100, "kkkkk lllll", "aa"), (101, write(50), "bb"), (102, write(60), "bb")]
+    seen = []
+    monkeypatch.setattr(langid, "fit", lambda model, *rest: seen.append(rest))
+    model = langid.train(spark.createDataFrame(data, "doc_id long, text string, lang string").repartition(3))
+    for lang, one in zip(model.langs, model.models, strict=True):
+        hashes, _ = langid.counted([t for _, t, x in data if x == lang], langid.ORDER)
+        assert sorted(one.keys[-1].tolist()) == sorted(hashes[:, langid.ORDER - 1].tolist())
+    _, length, _, _, n = seen[0]
+    whole = n[length == length.max()].sum()
+    of = lambda lang: sum(math.ceil(len(t) / langid.DRAWN) for _, t, x in data if x == lang)
+    assert of("aa") <= whole <= of("aa") + of("bb")  # both texts of bb may be in one half, of which the other has no model
+
+
 def naive_kneser_ney(texts, order, vocab):
     """Interpolated Kneser-Ney from its definition: n-grams as strings, "^" before a text's first symbol."""
     folded = [" " + re.sub(" +", " ", "".join(c.lower() if c.isalpha() else " " for c in t)).lstrip(" ") for t in texts]
