@@ -493,6 +493,19 @@ def test_language_models_and_limit_come_from_all_text(spark, monkeypatch):
     assert of("aa") <= whole <= of("aa") + of("bb")  # both texts of bb may be in one half, of which the other has no model
 
 
+def test_windows_cover_all_text():
+    """A passage counts for the limit wherever it stands in a piece, and each piece counts alike whatever its windows."""
+    rng = random.Random(10)
+    write = lambda letters, n: "".join(rng.choice(letters) for _ in range(n))
+    model = langid.build(["aa"], [langid.counted([write("abcd", 2_000)], langid.ORDER)])
+    odd = write("abcd", 112) + write("uvwxyz", 16) + write("abcd", 172)
+    kinds, n = langid._windows(model, np.zeros(2, np.int64), [odd, write("abcd", 16)], np.zeros(len(langid.SCALES)))
+    short = kinds >> 40 == 0
+    best = (kinds[short] & 0xFFFFF) / langid.STEPS
+    assert n[short][best > 4].sum() == langid.WHOLE // 18  # one of the 18 windows of 16 in 300 characters
+    assert n[kinds >> 40 == 1].sum() == langid.WHOLE // 9 * 9 and langid.WHOLE * 1.9 < n[short].sum() <= langid.WHOLE * 2
+
+
 def naive_kneser_ney(texts, order, vocab):
     """Interpolated Kneser-Ney from its definition: n-grams as strings, "^" before a text's first symbol."""
     folded = [" " + re.sub(" +", " ", "".join(c.lower() if c.isalpha() else " " for c in t)).lstrip(" ") for t in texts]
