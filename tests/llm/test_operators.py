@@ -493,6 +493,27 @@ def test_language_models_and_limit_come_from_all_text(spark, monkeypatch):
     assert of("aa") <= whole <= of("aa") + of("bb")  # both texts of bb may be in one half, of which the other has no model
 
 
+def test_a_large_model_is_whole(spark, monkeypatch):
+    """A model that does not fit at once says of all texts what it says if it does: no n-gram is left out."""
+    rng = random.Random(11)
+    write = lambda letters, n: " ".join("".join(rng.choice(letters) for _ in range(rng.randrange(1, 9))) for _ in range(n))
+    alphabets = {"aa": "abcdefgh", "bb": "efghijkl", "cc": "xyz"}
+    data = [(i, write(alphabets[x], 60), x) for i in range(90) for x in (("aa", "bb", "cc")[i % 3],)] + [(None, None, "aa"), (200, "?!", None)]
+    docs = spark.createDataFrame(data, "doc_id long, text string, lang string").repartition(3)
+    whole = langid.train(docs)
+    monkeypatch.setattr(langid, "MOST_MODEL", 24 * langid.ORDER * 2_000)
+    monkeypatch.setattr(langid, "TOGETHER", 5_000)
+    large = langid.train(docs)
+    tests = [write(x, n) for x in ("abcdefghijkl", "xyzabc", "qrst") for n in (1, 3, 40)]
+    for one, other in zip(large.entropies(tests), whole.entropies(tests), strict=True):
+        assert one == pytest.approx(other, rel=1e-5)
+    assert (large.langs, large.scale, large.mean, large.spread) == (whole.langs, whole.scale, pytest.approx(whole.mean, rel=1e-6), pytest.approx(whole.spread, rel=1e-4))
+    got, want = ({(r["doc_id"], r["lang_pred"], r["accepted"]): r["score"] for r in langid.classify(docs, m).collect()} for m in (large, whole))
+    assert len(got) == len(data) and got == pytest.approx(want, rel=1e-4)
+    assert langid.keep_identified(docs, large).count() == langid.keep_identified(docs, whole).count() == 90
+    assert len(large.parts) > 3 and sum(len(p.value.keys) for p in large.parts) == len(whole.keys)
+
+
 def test_windows_cover_all_text():
     """A passage counts for the limit wherever it stands in a piece, and each piece counts alike whatever its windows."""
     rng = random.Random(10)
